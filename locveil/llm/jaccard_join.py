@@ -14,7 +14,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ._scratch import drop, written
@@ -116,7 +116,12 @@ def _class_ids(values: np.ndarray, ptr: np.ndarray) -> np.ndarray:
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").select(F.coalesce("doc_id", F.xxhash64("text")).alias("key"), "doc_id", "text")
+    return docs.select(_key(), F.col("doc_id").cast("long").alias("doc_id"), "text")
+
+
+def _key() -> Column:
+    """Names a row by its id and text; rows equal in both share it."""
+    return F.xxhash64(F.col("doc_id").cast("long"), "text").alias("key")
 
 
 _SKETCH = "key long, doc_id long, n_shingles long, rep long, rare array<long>, often array<long>, parity binary"
@@ -322,20 +327,8 @@ def _overlaps(pairs: DataFrame, segments: DataFrame, num: int, den: int) -> Data
     return summed.where(f"{den} * shared >= {num} * (na + nb - shared)").select("a", "b")
 
 
-def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 100) -> DataFrame:
-    """Group documents whose sets of k-word n-grams link: ``den * |x & y| >= num * |x | y|``.
-
-    Takes ``doc_id, text`` (other columns are ignored) and returns, per row of
-    ``docs``: ``doc_id, n_shingles, component_id`` (the smallest doc_id reachable
-    by links, itself included).
-
-    * Null, empty or wordless text: no n-grams, linked with nothing.
-    * Fewer than k words: the whole sequence is the one n-gram.
-    * Equal sets are one class, which takes part once; exact copies never meet in pairs.
-    * Rows that share a doc_id are rows of their own; a null doc_id is never the
-      smallest: component_id is null only where a component has no other id.
-    * An empty table gives an empty table.
-    """
+def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
+    """``key, doc_id, n_shingles, comp`` of every row; rows of a component share comp, null without n-grams."""
     sketches = _sketches(docs, k, num, den)
     full = sketches.where("n_shingles > 0")
     firsts = full.groupBy("rep").agg(F.min("key").alias("key"))
@@ -364,8 +357,39 @@ def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 10
     if not second.isEmpty():
         labels = components(first.union(second))
     drop(segments, rare, often, classes)
-    node = sketches.select("doc_id", "n_shingles", "rep").join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", "n_shingles", F.coalesce("comp", "rep").alias("comp"))
-    node = written(node, "nodes")
+    node = sketches.select("key", "doc_id", "n_shingles", "rep").join(labels.withColumnRenamed("node", "rep"), "rep", "left")
+    return written(node.select("key", "doc_id", "n_shingles", F.coalesce("comp", "rep").alias("comp")), "nodes")
+
+
+def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 100) -> DataFrame:
+    """Group documents whose sets of k-word n-grams link: ``den * |x & y| >= num * |x | y|``.
+
+    Takes ``doc_id, text`` (other columns are ignored) and returns, per row of
+    ``docs``: ``doc_id, n_shingles, component_id`` (the smallest doc_id reachable
+    by links, itself included).
+
+    * Null, empty or wordless text: no n-grams, linked with nothing.
+    * Fewer than k words: the whole sequence is the one n-gram.
+    * Equal sets are one class, which takes part once; exact copies never meet in pairs.
+    * Rows that share a doc_id are rows of their own; a null doc_id is never the
+      smallest: component_id is null only where a component has no other id.
+    * An empty table gives an empty table.
+    """
+    node = _nodes(docs, k, num, den)
     least = node.where("comp is not null").groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     out = node.join(least, "comp", "left")
     return out.select("doc_id", "n_shingles", F.when(F.col("comp").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+
+
+def deduplicated(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+    """The rows of ``docs``, all columns, less all but one of each component (the one of smallest doc_id, nulls last).
+
+    Rows without n-grams are linked with nothing and all stay.
+    """
+    node = _nodes(docs, k, num, den).where("comp is not null")
+    first = node.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("first"))
+    lost = node.join(first, "comp").where("key <> first.key").select(F.col("key").alias("__key")).distinct()
+    twice = node.groupBy("key").count().where("count > 1").select(F.col("key").alias("__key"), F.lit(True).alias("__twice"))
+    kept = docs.withColumn("__key", _key()).join(lost, "__key", "left_anti").join(twice, "__key", "left")
+    one = kept.where("__twice").dropDuplicates(["__key"])
+    return kept.where("__twice is null").unionByName(one).select(*docs.columns)
