@@ -206,25 +206,27 @@ def _common_pairs(classes: DataFrame, num: int, den: int, labels: DataFrame | No
     rows = classes.where(F.size("often") > 0).withColumn("comp", F.lit(None).cast("long"))
     if labels is not None:
         rows = rows.drop("comp").join(labels.select(F.col("node").alias("rep"), "comp"), "rep", "left")
-    rows = rows.select("rep", F.col("n_shingles").alias("n"), "parity", F.coalesce("comp", "rep").alias("comp"), F.explode("often").alias("gram"))
+    # With each n-gram goes the one before it in the document's prefix: two rows that agree on both met there already.
+    grams = F.explode(F.transform("often", lambda g, i: F.struct(g.alias("gram"), F.coalesce(F.get("often", i - 1), F.col("rep")).alias("before"))))
+    rows = rows.select("rep", F.col("n_shingles").alias("n"), "parity", F.coalesce("comp", "rep").alias("comp"), grams.alias("g")).select("*", "g.*").drop("g")
     sizes = rows.groupBy("gram").agg(F.count("*").alias("m"), F.min("comp").alias("c0"), F.max("comp").alias("c1"))
-    sizes = sizes.where("m > 1 and c0 <> c1").select("gram", F.ceil(F.col("m") / BLOCK).cast("int").alias("g"))
-    rows = rows.join(sizes, "gram").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("g")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("g") - 1))
+    sizes = sizes.where("m > 1 and c0 <> c1").select("gram", F.ceil(F.col("m") / BLOCK).cast("int").alias("blocks"))
+    rows = rows.join(sizes, "gram").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     rows = rows.withColumn("other", other).withColumn("x", F.least("block", "other")).withColumn("y", F.greatest("block", "other"))
 
     forest = labels is None
 
     def met(pdf: pd.DataFrame) -> pd.DataFrame:
-        out = _close_pairs(pdf["rep"].to_numpy(), pdf["n"].to_numpy(), list(pdf["parity"]), pdf["comp"].to_numpy(), pdf["block"].to_numpy(), num, den, forest)
+        out = _close_pairs(pdf["rep"].to_numpy(), pdf["n"].to_numpy(), list(pdf["parity"]), pdf["comp"].to_numpy(), pdf["block"].to_numpy(), pdf["before"].to_numpy(), num, den, forest)
         return pd.DataFrame({"a": out[:, 0], "b": out[:, 1]})
 
-    return rows.select("gram", "x", "y", "block", "rep", "n", "parity", "comp").groupBy("gram", "x", "y").applyInPandas(met, "a long, b long").distinct()
+    return rows.select("gram", "x", "y", "block", "rep", "n", "parity", "comp", "before").groupBy("gram", "x", "y").applyInPandas(met, "a long, b long").distinct()
 
 
-def _close_pairs(rep, n, parity, comp, block, num, den, forest: bool) -> np.ndarray:
+def _close_pairs(rep, n, parity, comp, block, before, num, den, forest: bool) -> np.ndarray:
     order = np.lexsort((rep, n))
-    rep, n, comp, block = rep[order], n[order], comp[order], block[order]
+    rep, n, comp, block, before = rep[order], n[order], comp[order], block[order], before[order]
     wide = np.array([len(parity[i]) for i in order])
     two = len(np.unique(block)) > 1
     found = []
@@ -242,7 +244,7 @@ def _close_pairs(rep, n, parity, comp, block, num, den, forest: bool) -> np.ndar
             if not len(j):
                 continue
             apart = np.bitwise_count(cells[p + 1 : p + 1 + stop] ^ cells[p]).sum(1, dtype=np.int64)
-            ok = (apart <= _most_apart(n[i], n[j], num, den)) & (comp[j] != comp[i])
+            ok = (apart <= _most_apart(n[i], n[j], num, den)) & (comp[j] != comp[i]) & (before[j] != before[i])
             if two:
                 ok &= block[j] != block[i]
             if ok.any():
