@@ -8,14 +8,13 @@ from locveil.llm._scratch import written
 from locveil.llm.decontaminate import decontaminated
 from locveil.llm.jaccard_join import deduplicated
 from locveil.llm.mixing import mix_sources
-from locveil.llm.quality import score_quality
+from locveil.llm.quality import accepted
 from locveil.llm.secrets import redact
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents the classifier accepts."""
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    return score_quality(docs, labels, keep=docs.columns).where("predicted = 1").select(*docs.columns)
+    return accepted(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -344,7 +344,7 @@ def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
 
     often = written(sized(_common_pairs(classes, num, den, None)), "often")
     paired = rare.select(F.col("a").alias("rep")).union(rare.select("b"))
-    wanted = classes.join(paired.distinct(), "rep", "left_semi").union(classes.where(F.size("often") > 0)).select("key").distinct()
+    wanted = classes.join(paired.distinct(), "rep", "left_semi").select("key").union(classes.where(F.size("often") > 0).select("key")).distinct()
     segments = _segments(docs, wanted, k)
     # Each document's closest candidates come first; most other pairs then lie within a component and need no count.
     ends = rare.select(F.col("a").alias("v"), F.struct("apart", F.col("b").alias("w"), "a", "b", "na", "nb").alias("s"))

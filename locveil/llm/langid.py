@@ -149,7 +149,7 @@ def train(docs: DataFrame) -> Model:
                 yield pa.RecordBatch.from_arrays([*(c.slice(row, end - row) for c in batch.columns[1:]), pa.array(grams, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int32()))], ["doc_id", "lang", "grams", "counts"])
 
     got = usable.select("text", F.col("doc_id").cast("long").alias("doc_id"), "lang").mapInArrow(counted, "doc_id long, lang string, grams array<int>, counts array<int>").toPandas()
-    got = got[[len(g) > 0 for g in got["grams"]]].sort_values(["doc_id", "lang"], kind="stable").reset_index(drop=True)
+    got = got[np.array([len(g) > 0 for g in got["grams"]], bool)].sort_values(["doc_id", "lang"], kind="stable").reset_index(drop=True)
     classes = sorted(got["lang"].unique().tolist())
     if not classes:
         return Model([], np.zeros((BUCKETS, 0), np.float32), np.zeros(0), 1.0)

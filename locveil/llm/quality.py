@@ -197,7 +197,10 @@ def train(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, Network]:
 
     # At most about MAX_LABELLED small rows: a proven bound for the broadcast.
     rows = docs.select("text", F.col("doc_id").cast("long").alias("doc_id")).join(F.broadcast(usable), "doc_id").select("text", "doc_id", "quality")
-    rows = rows.mapInArrow(made, "doc_id long, quality int, x array<float>").toPandas().sort_values(["doc_id", "quality"], kind="stable")
+    rows = rows.mapInArrow(made, "doc_id long, quality int, x array<float>").toPandas()
+    if not len(rows):
+        return vectors, fit(np.zeros((0, FEATURES)), np.zeros(0))
+    rows = rows.sort_values(["doc_id", "quality"], kind="stable")
     x = np.array(rows["x"].tolist(), np.float64).reshape(len(rows), FEATURES)
     return vectors, fit(x, rows["quality"].to_numpy(np.float64))
 
@@ -214,14 +217,29 @@ def score_quality(docs: DataFrame, labels: DataFrame, keep: list[str] | None = N
     keep = keep or ["doc_id"]
     sent = docs.sparkSession.sparkContext.broadcast(train(docs, labels))
     rows = docs.select(F.col("text").alias("__text"), F.col("doc_id").alias("__id"), *keep)
-    out = T.StructType([*rows.schema.fields[1:], T.StructField("score", T.DoubleType())])
+    out = T.StructType([*rows.schema.fields[1:], T.StructField("__score", T.DoubleType())])
 
     def scored(batches):
         vectors, net = sent.value
         for batch in batches:
             for row, x in features(batch.column(0), vectors):
                 part = batch.slice(row, len(x))
-                yield pa.RecordBatch.from_arrays([*part.columns[1:], pa.array(np.round(net.scores(x.astype(np.float64)), 6))], [*batch.schema.names[1:], "score"])
+                yield pa.RecordBatch.from_arrays([*part.columns[1:], pa.array(np.round(net.scores(x.astype(np.float64)), 6))], [*batch.schema.names[1:], "__score"])
 
     got = rows.mapInArrow(scored, out)
-    return got.select(*keep, (fold_of("__id") == 0).alias("held_out"), "score", F.when(F.col("score") >= cut, 1).otherwise(0).alias("predicted"))
+    score = F.col("__score")
+    return got.select(*keep, (fold_of("__id") == 0).alias("held_out"), score.alias("score"), F.when(score >= cut, 1).otherwise(0).alias("predicted"))
+
+
+def accepted(docs: DataFrame, labels: DataFrame, cut: float = 0.3) -> DataFrame:
+    """The rows of ``docs``, all columns, whose score reaches ``cut``."""
+    sent = docs.sparkSession.sparkContext.broadcast(train(docs, labels))
+    at = docs.columns.index("text")
+
+    def kept(batches):
+        vectors, net = sent.value
+        for batch in batches:
+            for row, x in features(batch.column(at), vectors):
+                yield batch.slice(row, len(x)).filter(pa.array(np.round(net.scores(x.astype(np.float64)), 6) >= cut))
+
+    return docs.mapInArrow(kept, docs.schema)

@@ -14,6 +14,7 @@ from .jaccard_join import jaccard_components
 from .langid import identify_language
 from .lm_scoring import score_documents
 from .mixing import mix_sources
+from .oracles import ORACLE_SQL
 from .quality import score_quality
 from .secrets import secret_digest
 
@@ -73,4 +74,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         op6_secret_scans, op7_decontamination, op8_chat_formatting, op9_hash_prefix_forest, op10_language_id,
     )
 }
-ORACLE_SQL: dict[str, str] = {}
+__all__ = ["ORACLE_SQL", "QUERIES"]

@@ -49,7 +49,7 @@ def _joined(spans: Column) -> Column:
 
 
 def scan(docs: DataFrame, text: str = "text") -> DataFrame:
-    """``docs`` with ``found`` (all spans by start, then kind), ``base`` (the base spans) added.
+    """``docs`` with ``__found`` (all spans by start, then kind) and ``__base`` (the base spans) added.
 
     Kinds: assign, access, hex are the base.  Then weak parts within SCOPE of a
     complementary one: ``linked_id`` (an identifier near a secret), ``linked_secret``
@@ -73,7 +73,7 @@ def scan(docs: DataFrame, text: str = "text") -> DataFrame:
     linked_id = F.filter("__id", lambda s: near(s, secret))
     linked_secret = F.filter("__weak", lambda s: near(s, F.concat("__id", "__end")))
     linked_end = F.filter("__end", lambda s: near(s, secret) & near(s, F.col("__id")))
-    df = df.withColumn("base", F.array_sort(F.concat("__assign", "__access", "__hex"))).withColumn("found", F.array_sort(F.concat("__assign", "__access", "__hex", linked_id, linked_secret, linked_end)))
+    df = df.withColumn("__base", F.array_sort(F.concat("__assign", "__access", "__hex"))).withColumn("__found", F.array_sort(F.concat("__assign", "__access", "__hex", linked_id, linked_secret, linked_end)))
     return df
 
 
@@ -82,7 +82,7 @@ def secret_digest(docs: DataFrame) -> DataFrame:
     df = scan(docs.select("doc_id", "text"))
     return df.select(
         "doc_id", F.size("__assign").cast("long").alias("n_assign"), F.size("__access").cast("long").alias("n_access"), F.size("__hex").cast("long").alias("n_hex"),
-        F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(F.col("found")).alias("spans"),
+        F.sha2(_joined(F.col("__base")), 256).alias("base_sha256"), _joined(F.col("__found")).alias("spans"),
     )
 
 
@@ -97,9 +97,9 @@ def redact(docs: DataFrame, mask: str = "[SECRET]") -> DataFrame:
         kept = F.concat(acc["made"], body.substr(acc["at"] + 1, s["start"] - acc["at"]), F.lit(mask))
         return F.struct(F.greatest(acc["at"], s["stop"]).alias("at"), F.when(fresh, kept).otherwise(acc["made"]).alias("made"))
 
-    clean = F.aggregate("found", start, step, lambda acc: F.concat(acc["made"], body.substr(acc["at"] + 1, F.length(body))))
-    text = F.when(F.size("found") > 0, clean).otherwise(F.col("text"))
+    clean = F.aggregate("__found", start, step, lambda acc: F.concat(acc["made"], body.substr(acc["at"] + 1, F.length(body))))
+    text = F.when(F.size("__found") > 0, clean).otherwise(F.col("text"))
     out = df.withColumn("text", text)
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.size("found") > 0, F.length("text").cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("n_chars")))
+        out = out.withColumn("n_chars", F.when(F.size("__found") > 0, F.length("text").cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("n_chars")))
     return out.select(*docs.columns)
