@@ -161,7 +161,7 @@ def _hints(attrs: str) -> tuple[tuple[int, ...], bool]:
 
 
 def features(nodes: list[Node]) -> tuple[list[list[int]], list[int]]:
-    """Active binary features and the edge kind (hints or tag) of every node."""
+    """Active binary features and the edge kind of every node."""
     size, linked = [0] * len(nodes), [0] * len(nodes)
     for i in range(len(nodes) - 1, -1, -1):
         own = nodes[i]
@@ -191,11 +191,17 @@ def features(nodes: list[Node]) -> tuple[list[list[int]], list[int]]:
             f.append(at + 4)
         f.append(at + 5)
         out.append(f)
-        edge.append(1 + hints[0] if hints else 0)
+        edge.append(hints[0] if hints else len(HINTS) + kind)
     return out, edge
 
 
-N_EDGES = len(HINTS) + 1
+#: Edge kinds: the child's first hint, else its tag.
+N_EDGES = len(HINTS) + len(KINDS)
+
+
+#: Beyond so many children each one's message to its parent counts in proportion less: the paragraphs of a
+#: very long page say much the same, and small errors of the weights would add up without bound.
+CHORUS = 16
 
 
 def marginals(nodes: list[Node], feats: list[list[int]], edge: list[int], w: np.ndarray, e: np.ndarray) -> tuple[list[float], list[tuple]]:
@@ -210,8 +216,9 @@ def marginals(nodes: list[Node], feats: list[list[int]], edge: list[int], w: np.
         (t00, t01), (t10, t11) = ties[edge[i]]
         x0, x1 = t00 * b0 + t01 * b1, t10 * b0 + t11 * b1
         z = x0 + x1
-        m0[i], m1[i] = x0 / z, x1 / z
         p = nodes[i].parent
+        share = CHORUS / max(CHORUS, len(nodes[p].children))
+        m0[i], m1[i] = (x0 / z) ** share, (x1 / z) ** share
         up0[p] *= m0[i]
         up1[p] *= m1[i]
         z = up0[p] + up1[p]
@@ -333,10 +340,11 @@ def _layout(rng: random.Random) -> str:
         ])()
 
     parts = [f"<h1>{prose(1, 10)}</h1>"] if rng.random() < 0.8 else []
-    brief = rng.random() < 0.25
-    for _ in range(rng.choice([1, 2, 4, 8, 12]) if not brief else rng.choice([0, 1, 1, 2])):
-        parts.append(block() if not brief else f"<p>{prose(1, 9)}</p>")
-        if rng.random() < 0.12:
+    brief = rng.random() < 0.4
+    plain, top = rng.random() < 0.5, rng.choice([3, 8, 25, 60, 120])
+    for _ in range(rng.choice([1, 2, 4, 8, 12, 25, 60]) if not brief else rng.choice([0, 1, 1, 2])):
+        parts.append(f"<p>{prose(1, top)}</p>" if plain and not brief else block() if not brief else f"<p>{prose(1, rng.choice([4, 12, 25]))}</p>")
+        if rng.random() < (0.02 if plain else 0.12):
             parts.append(rng.choice([ad, share, side, form, nav, notice])())
     if rng.random() < 0.1:
         parts.append(comments())
@@ -352,6 +360,8 @@ def _layout(rng: random.Random) -> str:
         body = f"<main>{body}</main>"
     before = [f() for f, p in ((notice, 0.3), (header, 0.6), (nav, 0.7), (ad, 0.5), (form, 0.2), (side, 0.2)) if rng.random() < p]
     after = [f() for f, p in ((share, 0.2), (comments, 0.5), (side, 0.4), (ad, 0.3), (form, 0.2), (notice, 0.2), (footer, 0.8)) if rng.random() < p]
+    if rng.random() < 0.1:
+        before, after = [], []
     rng.shuffle(before)
     inner = "".join(before) + body + "".join(after)
     if rng.random() < 0.3:
@@ -360,7 +370,7 @@ def _layout(rng: random.Random) -> str:
 
 
 @lru_cache(maxsize=2)
-def trained(n: int = 500, epochs: int = 40, seed: int = 7) -> Model:
+def trained(n: int = 500, epochs: int = 25, seed: int = 7) -> Model:
     """Likelihood ascent: observed minus expected features, the latter from the messages' marginals."""
     pages = [(nodes, labels, *features(nodes)) for nodes, labels in labelled_pages(n, seed)]
     w, e = np.zeros(N_FEATURES), np.zeros((N_EDGES, 2, 2))
