@@ -50,7 +50,7 @@ def _rows(d: np.ndarray, eps_g: float, edges: list[tuple[int, int]]) -> np.ndarr
     return g
 
 
-def solve(p: np.ndarray, d: np.ndarray, eps_g: float, delta: float = 0.05, d_min: float | None = None, tol: float = 1e-9, max_steps: int = 80) -> Solution:
+def solve(p: np.ndarray, d: np.ndarray, eps_g: float, delta: float = 0.05, d_min: float | None = None, tol: float = 1e-8, max_steps: int = 60) -> Solution:
     """Least expected loss under geo-indistinguishability; with d_min also a least expected inference error.
 
     delta > 0 replaces all pairs by a (1 + delta)-spanner with the budget divided by
@@ -89,7 +89,7 @@ def solve(p: np.ndarray, d: np.ndarray, eps_g: float, delta: float = 0.05, d_min
             r_over = -y[n] - dual_over  # stationarity of the slack
         gap = (float((s * z).sum()) + joint * over * dual_over) / m
         residual = max(np.abs(r_dual).max(), np.abs(r_rows).max(), np.abs(r_tie).max())
-        if gap < tol and residual < 1e-7:
+        if gap < tol and residual < 1e-6:
             break
         w = z / s
         h = np.einsum("jm,ma,mb->jab", w, g, g, optimize=True) if len(g) < 64 else np.stack([g.T @ (w[j][:, None] * g) for j in range(n)])
