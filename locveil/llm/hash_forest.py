@@ -19,6 +19,8 @@ BLOCK = 16_384
 QUERY_BLOCK = 4_096
 #: Candidates to reach while ascending, counted over all trees, as a multiple of the block's rows.
 DEPTH = 1.0
+#: Different candidates of a block to reach in any case (all, in a smaller block).
+LEAST = 64
 
 _ROW = "query_id long, vec_id long, score double"
 
@@ -49,10 +51,15 @@ def candidates(keys: np.ndarray, asked: np.ndarray, depth: float) -> list[np.nda
     out = []
     for q in range(len(asked)):
         level = int(np.flatnonzero(reached[:, q] >= want).max())
-        seen = np.zeros(n, bool)
-        for t in range(TREES):
-            seen[order[t][lows[level, q, t] : highs[level, q, t]]] = True
-        out.append(np.flatnonzero(seen))
+        while True:
+            seen = np.zeros(n, bool)
+            for t in range(TREES):
+                seen[order[t][lows[level, q, t] : highs[level, q, t]]] = True
+            found = np.flatnonzero(seen)
+            if len(found) >= min(n, LEAST) or level == 0:
+                break
+            level -= 1  # the same few rows in many trees
+        out.append(found)
     return out
 
 

