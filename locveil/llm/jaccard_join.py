@@ -28,8 +28,8 @@ MOST_COMMON_ENTRIES = 1 << 21
 #: Rows of a frequent n-gram's bucket that meet in one task.
 BLOCK = 1024
 FRAGMENTS = 4
-_PART_BITS = 10
-_BUFFER = 1 << 21
+#: Fingerprints are counted in 2^10 parts, and in more, up to 2^16, where the input has many tasks.
+_PART_BITS, _MOST_PART_BITS = 10, 16
 
 
 def _sets(column: pa.Array, k: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -38,7 +38,7 @@ def _sets(column: pa.Array, k: int) -> Iterator[tuple[int, np.ndarray, np.ndarra
         yield row, *distinct_sets(*shingles(hashes, rows, k))
 
 
-def _common(docs: DataFrame, k: int) -> np.ndarray:
+def _common(docs: DataFrame, k: int, bits: int = _PART_BITS) -> np.ndarray:
     """40-odd-bit fingerprints of the n-grams that occur in many documents, counted over all of them.
 
     Fingerprints travel packed by part; after one exchange on the part they are
@@ -51,17 +51,17 @@ def _common(docs: DataFrame, k: int) -> np.ndarray:
         size = 0
 
         def flush():
-            prints = np.sort(np.concatenate(held) >> np.uint64(64 - _PART_BITS - 32))
+            prints = np.sort(np.concatenate(held) >> np.uint64(64 - bits - 32))
             part = (prints >> np.uint64(32)).astype(np.int32)
             low = (prints & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32)
-            ptr = np.searchsorted(part, np.arange((1 << _PART_BITS) + 1)).astype(np.int32)
-            return pa.RecordBatch.from_arrays([pa.array(np.arange(1 << _PART_BITS, dtype=np.int32)), pa.ListArray.from_arrays(pa.array(ptr), pa.array(low))], ["part", "low"])
+            ptr = np.searchsorted(part, np.arange((1 << bits) + 1)).astype(np.int32)
+            return pa.RecordBatch.from_arrays([pa.array(np.arange(1 << bits, dtype=np.int32)), pa.ListArray.from_arrays(pa.array(ptr), pa.array(low))], ["part", "low"])
 
         for batch in batches:
             for _, values, _ in _sets(batch.column(0), k):
                 held.append(values)
                 size += len(values)
-                if size >= _BUFFER:
+                if size >= 1 << min(23, 11 + bits):
                     yield flush()
                     held, size = [], 0
         if size:
@@ -78,10 +78,10 @@ def _common(docs: DataFrame, k: int) -> np.ndarray:
     return np.sort((got["part"].to_numpy(np.uint64) << np.uint64(32)) | got["low"].to_numpy(np.int32).view(np.uint32).astype(np.uint64))
 
 
-def _is_common(values: np.ndarray, common: np.ndarray) -> np.ndarray:
+def _is_common(values: np.ndarray, common: np.ndarray, bits: int = _PART_BITS) -> np.ndarray:
     if not len(common):
         return np.zeros(len(values), bool)
-    prints = values >> np.uint64(64 - _PART_BITS - 32)
+    prints = values >> np.uint64(64 - bits - 32)
     at = np.minimum(np.searchsorted(common, prints), len(common) - 1)
     return common[at] == prints
 
@@ -128,13 +128,14 @@ _SKETCH = "key long, doc_id long, n_shingles long, rep long, rare array<long>, o
 
 
 def _sketches(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    common = docs.sparkSession.sparkContext.broadcast(_common(docs, k))
+    bits = min(_MOST_PART_BITS, max(_PART_BITS, docs.rdd.getNumPartitions().bit_length() + 2))
+    common = docs.sparkSession.sparkContext.broadcast(_common(docs, k, bits))
 
     def made(batches):
         for batch in batches:
             keys, ids = batch.column(0), batch.column(1)
             for row, values, ptr in _sets(batch.column(2), k):
-                often = _is_common(values, common.value)
+                often = _is_common(values, common.value, bits)
                 sizes = np.diff(ptr)
                 rare, late, parity = [], [], []
                 for a, b in zip(ptr[:-1].tolist(), ptr[1:].tolist(), strict=True):
