@@ -1,5 +1,11 @@
 """Masked pseudo-likelihood: a bidirectional window network predicts every word from both sides.
 
+The network predicts a frequent word itself, and of any other word one of OTHERS
+hash buckets; the word within the bucket follows from the counts of all words, a
+table that grows with the corpus and is joined, so that every token has its own
+probability.  A bucket keeps half a count for each of as many unseen words as it
+has seen ones.  The vocabulary grows with the token count.
+
 Vocabulary counts and training both cover the whole corpus.  Training is local
 gradient descent in every task from shared parameters, followed by one weighted
 average; a round uses every ROUND_SHARE-th position of every text.
@@ -15,51 +21,73 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._scratch import written
 from ._tokens import mix, pieces, words
 
+#: Groups of words at least, and the token count from which there are more (by its fourth root: every
+#: task returns all weights, so shuffled data would otherwise grow much faster than the input).
 GROUPS, WIDTH = 32, 32
+GROWS_FROM = 1 << 22
+MOST_GROUPS = 1000  # ids are 16-bit; reached at 4e12 tokens
 VOCAB = GROUPS * WIDTH
 #: Words outside the vocabulary share these last ids, by hash.
 OTHERS = 24
-EDGE = VOCAB  # the id beyond either end of a text
+EDGE = VOCAB  # the id beyond either end of a text, in the smallest network
 SIDES = (-2, -1, 1, 2)
 DIM = 32
 ROUNDS = 2
 ROUND_SHARE = 16
 BATCH = 1024
 RATE = 0.15
+#: The count an unseen word stands for; there are as many of them in a bucket as seen ones.
+UNSEEN = 0.5
 
 
 class Params(NamedTuple):
     words: np.ndarray  # vocabulary hashes, sorted
     ids: np.ndarray
     flat: np.ndarray  # all weights, float32
+    spread: np.ndarray  # log of each bucket's total count, with its unseen words
+    counts: DataFrame | None  # word, n of every word; not sent to the tasks
+
+
+def _shapes(groups: int) -> tuple[tuple[int, ...], ...]:
+    return (len(SIDES), groups * WIDTH + 1, DIM), (DIM,), (DIM, groups), (groups,), (groups, DIM, WIDTH), (groups, WIDTH)
+
+
+def _n_weights(groups: int) -> int:
+    return sum(int(np.prod(s)) for s in _shapes(groups))
+
+
+def _groups(flat: np.ndarray) -> int:
+    """The number of groups: the number of weights is linear in it."""
+    return (len(flat) - _n_weights(0)) // (_n_weights(1) - _n_weights(0))
 
 
-_SHAPES = ((len(SIDES), VOCAB + 1, DIM), (DIM,), (DIM, GROUPS), (GROUPS,), (GROUPS, DIM, WIDTH), (GROUPS, WIDTH))
-_SIZES = [int(np.prod(s)) for s in _SHAPES]
-N_WEIGHTS = sum(_SIZES)
+def _groups_for(tokens: int) -> int:
+    return min(MOST_GROUPS, max(GROUPS, int(GROUPS * (tokens / GROWS_FROM) ** 0.25)))
 
 
 def _views(flat: np.ndarray) -> list[np.ndarray]:
     at, out = 0, []
-    for shape, size in zip(_SHAPES, _SIZES, strict=True):
+    for shape in _shapes(_groups(flat)):
+        size = int(np.prod(shape))
         out.append(flat[at : at + size].reshape(shape))
         at += size
     return out
 
 
-def _start(seed: int = 1) -> np.ndarray:
+def _start(groups: int = GROUPS, seed: int = 1) -> np.ndarray:
     rng = np.random.default_rng(seed)
-    flat = np.zeros(N_WEIGHTS, np.float32)
+    flat = np.zeros(_n_weights(groups), np.float32)
     emb, _, top, _, low, _ = _views(flat)
     for w, scale in ((emb, 0.1), (top, 0.2), (low, 0.2)):
         w[...] = rng.normal(0, scale, w.shape)
     return flat
 
 
-def vocabulary(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes and ids of the most frequent words, counted over every text; ties go by hash."""
+def word_counts(docs: DataFrame) -> DataFrame:
+    """``word, n``: every word's hash and count over every text."""
 
     def counted(batches):
         held: list[np.ndarray] = []
@@ -75,10 +103,25 @@ def vocabulary(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
             yield _counts(held)
 
     sums = docs.select("text").mapInArrow(counted, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    top = sums.orderBy(F.desc("n"), "word").limit(VOCAB - OTHERS).toPandas()
+    return written(sums, "word-counts")
+
+
+def vocabulary(counts: DataFrame) -> tuple[np.ndarray, np.ndarray, int, np.ndarray]:
+    """Hashes and ids of the most frequent words (ties go by hash), the number of groups and each bucket's log total."""
+    # Signed longs stand for unsigned hashes: the remainder by OTHERS from that of the upper 63 bits.
+    bucket = (F.shiftrightunsigned("word", 1) % (OTHERS // 2) * 2 + F.col("word").bitwiseAND(1)).cast("int")
+    sums = counts.groupBy(bucket.alias("bucket")).agg(F.sum("n").alias("n"), F.count("*").alias("types")).toPandas()
+    groups = _groups_for(int(sums["n"].sum()))
+    top = counts.orderBy(F.desc("n"), "word").limit(groups * WIDTH - OTHERS).toPandas()
     hashes = top["word"].to_numpy(np.int64).view(np.uint64)
+    total, types = np.zeros(OTHERS), np.zeros(OTHERS)
+    total[sums["bucket"].to_numpy(np.int64)] = sums["n"]
+    types[sums["bucket"].to_numpy(np.int64)] = sums["types"]
+    own = (hashes % np.uint64(OTHERS)).astype(np.int64)
+    total -= np.bincount(own, top["n"].to_numpy(np.float64), OTHERS)
+    types -= np.bincount(own, minlength=OTHERS)
     order = np.argsort(hashes)
-    return hashes[order], order.astype(np.int16)
+    return hashes[order], order.astype(np.int16), groups, np.log(total + UNSEEN * np.maximum(types, 1))
 
 
 def _counts(held: list[np.ndarray]) -> pa.RecordBatch:
@@ -88,22 +131,29 @@ def _counts(held: list[np.ndarray]) -> pa.RecordBatch:
 
 def _ids(column: pa.Array, params: Params) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """First row, end row, word ids and each row's first word."""
+    for row, end, _, ids, rows in _hashed(column, params):
+        yield row, end, ids, rows
+
+
+def _hashed(column: pa.Array, params: Params) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """First row, end row, word hashes, word ids and each row's first word."""
+    others = _groups(params.flat) * WIDTH - OTHERS
     for row, end, data, offsets in pieces(column):
         hashes, _, _, rows = words(data, offsets)
-        ids = (VOCAB - OTHERS + (hashes % np.uint64(OTHERS)).astype(np.int64)).astype(np.int16)
+        ids = (others + (hashes % np.uint64(OTHERS)).astype(np.int64)).astype(np.int16)
         if len(params.words):
             at = np.minimum(np.searchsorted(params.words, hashes), len(params.words) - 1)
             ids = np.where(params.words[at] == hashes, params.ids[at], ids)
-        yield row, end, ids, rows
+        yield row, end, hashes, ids, rows
 
 
-def _contexts(ids: np.ndarray, rows: np.ndarray) -> np.ndarray:
-    """Ids on each side of every word (side by word), EDGE beyond its text."""
+def _contexts(ids: np.ndarray, rows: np.ndarray, edge: int = EDGE) -> np.ndarray:
+    """Ids on each side of every word (side by word), ``edge`` beyond its text."""
     n = len(ids)
     size = np.diff(rows)
     first, last = np.repeat(rows[:-1], size), np.repeat(rows[1:], size)
     here = np.arange(n)
-    out = np.full((len(SIDES), n), EDGE, np.int16)
+    out = np.full((len(SIDES), n), edge, np.int16)
     for s, step in enumerate(SIDES):
         at = here + step
         ok = (at >= first) & (at < last)
@@ -122,11 +172,12 @@ def _hidden(emb: np.ndarray, bias: np.ndarray, around: np.ndarray) -> np.ndarray
 def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) -> np.ndarray:
     """log p(word | both sides): its group, then the word within the group."""
     emb, bias, top, top_b, low, low_b = _views(flat)
+    groups = len(top_b)
     out = np.empty(len(ids), np.float32)
     group = ids // WIDTH
-    order = np.argsort(group.astype(np.uint8), kind="stable")
-    cut = np.searchsorted(group[order], np.arange(GROUPS + 1))
-    for g in range(GROUPS):
+    order = np.argsort(group.astype(np.uint16), kind="stable")
+    cut = np.searchsorted(group[order], np.arange(groups + 1))
+    for g in range(groups):
         for a in range(cut[g], cut[g + 1], 16384):
             at = order[a : min(a + 16384, cut[g + 1])]
             h = _hidden(emb, bias, around[:, at])
@@ -143,11 +194,13 @@ class _Descent:
 
     def __init__(self, flat: np.ndarray):
         self.flat = flat.copy()
-        self.sums = np.full(N_WEIGHTS, 1e-2, np.float32)
+        self.sums = np.full(len(flat), 1e-2, np.float32)
 
     def step(self, ids: np.ndarray, around: np.ndarray) -> None:
-        emb, bias, top, top_b, low, low_b = _views(self.flat)
+        emb, bias, top, top_b, low, low_b = weights = _views(self.flat)
+        sums = _views(self.sums)
         n = len(ids)
+        root = np.float32(np.sqrt(n))
         h = _hidden(emb, bias, around)
         group, place = ids // WIDTH, ids % WIDTH
         z = h @ top + top_b
@@ -155,46 +208,49 @@ class _Descent:
         p /= p.sum(1, keepdims=True)
         p[np.arange(n), group] -= 1
         back = p @ top.T
-        grad = np.zeros(N_WEIGHTS, np.float32)
-        g_emb, g_bias, g_top, g_top_b, g_low, g_low_b = _views(grad)
-        g_top += h.T @ p
-        g_top_b += p.sum(0)
-        order = np.argsort(group, kind="stable")
-        cut = np.searchsorted(group[order], np.arange(GROUPS + 1))
-        for g in range(GROUPS):
+        g_top, g_top_b = h.T @ p, p.sum(0)
+        order = np.argsort(group.astype(np.int16), kind="stable")
+        cut = np.searchsorted(group[order], np.arange(len(top_b) + 1))
+        g_low, g_low_b = np.zeros_like(low), np.zeros_like(low_b)
+        for g in range(len(top_b)):
             at = order[cut[g] : cut[g + 1]]
             if len(at):
                 z = h[at] @ low[g] + low_b[g]
                 q = np.exp(z - z.max(1, keepdims=True))
                 q /= q.sum(1, keepdims=True)
                 q[np.arange(len(at)), place[at]] -= 1
-                g_low[g] += h[at].T @ q
-                g_low_b[g] += q.sum(0)
+                g_low[g] = h[at].T @ q
+                g_low_b[g] = q.sum(0)
                 back[at] += q @ low[g].T
         back *= 1 - h * h
-        g_bias += back.sum(0)
+        for i, grad in enumerate((back.sum(0), g_top, g_top_b, g_low, g_low_b), 1):
+            grad /= root
+            sums[i] += grad * grad
+            weights[i] -= RATE * grad / np.sqrt(sums[i])
+        # Only the rows of words that occur move.
         for s in range(len(SIDES)):
-            order = np.argsort(around[s], kind="stable")
+            order = np.argsort(around[s].astype(np.int16), kind="stable")
             key = around[s][order]
             first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-            g_emb[s][key[first]] = np.add.reduceat(back[order], first, axis=0)
-        grad /= np.sqrt(n)
-        live = np.flatnonzero(grad)
-        g = grad[live]
-        self.sums[live] += g * g
-        self.flat[live] -= RATE * g / np.sqrt(self.sums[live])
+            grad = np.add.reduceat(back[order], first, axis=0) / root
+            rows = key[first]
+            total = sums[0][s][rows] + grad * grad
+            sums[0][s][rows] = total
+            emb[s][rows] -= RATE * grad / np.sqrt(total)
 
 
 _FIXED = float(1 << 24)
 
 
 def train(docs: DataFrame) -> Params:
-    """Vocabulary and weights from all texts; what moves to the driver has a fixed size."""
-    hashes, ids = vocabulary(docs)
-    flat = _start()
+    """Word counts, vocabulary and weights from all texts; the counts never move to the driver, the weights grow by the fourth root."""
+    counts = word_counts(docs)
+    hashes, ids, groups, spread = vocabulary(counts)
+    flat = _start(groups)
+    n_weights, edge = len(flat), groups * WIDTH
     spark = docs.sparkSession
     for turn in range(ROUNDS):
-        sent = spark.sparkContext.broadcast(Params(hashes, ids, flat))
+        sent = spark.sparkContext.broadcast(Params(hashes, ids, flat, spread, None))
 
         def descended(batches, sent=sent, turn=turn):
             params = sent.value
@@ -207,7 +263,7 @@ def train(docs: DataFrame) -> Params:
                     at = np.flatnonzero((within + np.repeat(np.diff(rows), np.diff(rows))) % ROUND_SHARE == turn)
                     if not len(at):
                         continue
-                    around = _contexts(own, rows)
+                    around = _contexts(own, rows, edge)
                     at = at[np.argsort(mix(at.astype(np.uint64)), kind="stable")]
                     for a in range(0, len(at), BATCH):
                         b = at[a : a + BATCH]
@@ -220,35 +276,48 @@ def train(docs: DataFrame) -> Params:
 
         parts = docs.select("text").mapInArrow(descended, "block int, n long, part array<long>")
         cells = parts.select("block", "n", F.posexplode("part").alias("cell", "v")).where("v <> 0").groupBy("block", "cell").agg((F.sum(F.col("v").cast("decimal(38,0)")) / F.sum("n")).cast("double").alias("v")).toPandas()
-        first = np.array([0, *np.cumsum([len(x) for x in np.array_split(np.arange(N_WEIGHTS), 64)])[:-1]])
+        first = np.array([0, *np.cumsum([len(x) for x in np.array_split(np.arange(n_weights), 64)])[:-1]])
         at = first[cells["block"].to_numpy(np.int64)] + cells["cell"].to_numpy(np.int64)
         flat = flat.copy()
         flat[at] += (cells["v"].to_numpy(np.float64) / _FIXED).astype(np.float32)
-    return Params(hashes, ids, flat)
+    return Params(hashes, ids, flat, spread, counts)
 
 
 def score_documents(docs: DataFrame, params: Params | None = None) -> DataFrame:
     """``doc_id, n_words, pll, pll_per_word`` for every row of ``docs`` (``doc_id, text``).
 
-    pll is the sum over all words of log p(word | two words on both sides).  Null,
+    pll is the sum over all words of log p(word | two words on both sides): of a
+    word outside the vocabulary log p(bucket) + log p(word in bucket).  Null,
     empty or wordless texts: 0 words, pll 0 and a null mean.  Rows that repeat are
     scored each; an empty table gives an empty result.
     """
     params = params or train(docs)
-    sent = docs.sparkSession.sparkContext.broadcast(params)
+    sent = docs.sparkSession.sparkContext.broadcast(params._replace(counts=None))
 
     def scored(batches):
         p = sent.value
+        edge = _groups(p.flat) * WIDTH
         for batch in batches:
-            for row, end, ids, rows in _ids(batch.column(1), p):
+            for row, end, hashes, ids, rows in _hashed(batch.column(2), p):
                 n = end - row
                 size = np.diff(rows)
                 total = np.zeros(n)
                 has = np.flatnonzero(size)
                 if len(has):
-                    lp = log_probabilities(p.flat, ids.astype(np.int64), _contexts(ids, rows))
-                    total[has] = np.add.reduceat(lp.astype(np.float64), rows[:-1][has])
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, n), pa.array(size.astype(np.int64)), pa.array(np.round(total, 3))], ["doc_id", "n_words", "pll"])
-
-    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scored, "doc_id long, n_words long, pll double")
+                    lp = log_probabilities(p.flat, ids.astype(np.int64), _contexts(ids, rows, edge)).astype(np.float64)
+                    rare = np.flatnonzero(ids >= edge - OTHERS)
+                    lp[rare] -= p.spread[ids[rare] - (edge - OTHERS)]
+                    total[has] = np.add.reduceat(lp, rows[:-1][has])
+                    ptr = np.searchsorted(rare, rows)
+                    others = pa.LargeListArray.from_arrays(pa.array(ptr), pa.array(hashes[rare].view(np.int64)))
+                else:
+                    others = pa.array([[]] * n, pa.large_list(pa.int64()))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, n), batch.column(1).slice(row, n), pa.array(size.astype(np.int64)), pa.array(total), others.cast(pa.list_(pa.int64()))], ["at", "doc_id", "n_words", "pll", "others"])
+
+    rows = docs.select(F.monotonically_increasing_id().alias("at"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    rows = written(rows.mapInArrow(scored, "at long, doc_id long, n_words long, pll double, others array<long>"), "lm-scores")
+    # A word outside the vocabulary brings the log of its count, an unseen one that of UNSEEN.
+    each = rows.select("at", F.explode("others").alias("word")).join(params.counts.hint("shuffle_hash"), "word", "left")
+    own = each.groupBy("at").agg(F.sum(F.log(F.coalesce(F.col("n").cast("double"), F.lit(UNSEEN)))).alias("own"))
+    out = rows.select("at", "doc_id", "n_words", "pll").join(own, "at", "left").select("doc_id", "n_words", F.round(F.col("pll") + F.coalesce("own", F.lit(0.0)), 3).alias("pll"))
     return out.withColumn("pll_per_word", F.when(F.col("n_words") > 0, F.round(F.col("pll") / F.col("n_words"), 6)))

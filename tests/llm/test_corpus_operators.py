@@ -156,6 +156,40 @@ def test_lm_prefers_what_it_has_seen(spark):
     assert a.pll_per_word > b.pll_per_word + 0.1
 
 
+def test_lm_scores_every_word_by_its_own_count(spark):
+    from locveil.llm import lm_scoring as lm
+
+    # 2,400 words beyond a full vocabulary, half of them seen twice.
+    common = [f"c{i}" for i in range(lm.VOCAB - lm.OTHERS)]
+    rare = [f"r{i}" for i in range(2400)]
+    docs = frame(spark, [" ".join(common)] * 3 + [" ".join(rare), " ".join(rare[::2])])
+    params = lm.train(docs)
+    assert params.counts.count() == len(common) + len(rare)
+    ids = {w: int(list(lm._ids(__import__("pyarrow").array([w]), params))[0][2][0]) for w in [*rare, *(f"u{i}" for i in range(200))]}
+    bucket = lm.VOCAB - lm.OTHERS
+    same = [w for w in rare if ids[w] == bucket]
+    twice = next(w for w in same if int(w[1:]) % 2 == 0)
+    once = next(w for w in same if int(w[1:]) % 2)
+    unseen = next(w for w in ids if w[0] == "u" and ids[w] == bucket)
+    got = [r.pll for r in sorted(lm.score_documents(frame(spark, [twice, once, unseen]), params).collect())]
+    assert abs(got[0] - got[1] - np.log(2)) < 0.01 and abs(got[1] - got[2] - np.log(2)) < 0.01
+    # A bucket's words, with as many unseen ones, add up to the bucket.
+    total = sum(2 if int(w[1:]) % 2 == 0 else 1 for w in same) + len(same) / 2
+    assert abs(params.spread[0] - np.log(total)) < 1e-9
+
+
+def test_lm_vocabulary_grows(spark, monkeypatch):
+    from locveil.llm import lm_scoring as lm
+
+    monkeypatch.setattr(lm, "GROWS_FROM", 500)
+    docs = frame(spark, [" ".join(f"w{i % 3000}" for i in range(a, a + 900)) for a in range(0, 9000, 900)])
+    params = lm.train(docs)
+    groups = lm._groups(params.flat)
+    assert groups == lm._groups_for(9000) > lm.GROUPS and len(params.words) == groups * lm.WIDTH - lm.OTHERS
+    assert abs(sum(np.exp(lm.log_probabilities(params.flat, np.array([w]), np.array([[3], [5], [9], [7]]))[0]) for w in range(groups * lm.WIDTH)) - 1) < 1e-4
+    assert all(r.pll < 0 for r in lm.score_documents(docs, params).collect())
+
+
 def test_quality_accuracy_on_held_out_rows(spark):
     from locveil.llm.quality import accepted, score_quality
 
