@@ -8,7 +8,7 @@ has seen ones.  The vocabulary grows with the token count.
 
 Vocabulary counts and training both cover the whole corpus.  Training is local
 gradient descent in every task from shared parameters, followed by one weighted
-average; a round uses every ROUND_SHARE-th position of every text.
+average; every position of every text is a target in one of the rounds.
 """
 
 from __future__ import annotations
@@ -36,7 +36,6 @@ EDGE = VOCAB  # the id beyond either end of a text, in the smallest network
 SIDES = (-2, -1, 1, 2)
 DIM = 32
 ROUNDS = 2
-ROUND_SHARE = 16
 BATCH = 1024
 RATE = 0.15
 #: The count an unseen word stands for; there are as many of them in a bucket as seen ones.
@@ -242,6 +241,13 @@ class _Descent:
 _FIXED = float(1 << 24)
 
 
+def _targets(rows: np.ndarray, turn: int) -> np.ndarray:
+    """Positions that a round trains on; over all rounds each position of each text once."""
+    size = np.diff(rows)
+    within = np.arange(rows[-1]) - np.repeat(rows[:-1], size)
+    return np.flatnonzero((within + np.repeat(size, size)) % ROUNDS == turn)
+
+
 def train(docs: DataFrame) -> Params:
     """Word counts, vocabulary and weights from all texts; the counts never move to the driver, the weights grow by the fourth root."""
     counts = word_counts(docs)
@@ -259,8 +265,7 @@ def train(docs: DataFrame) -> Params:
                 for _, _, own, rows in _ids(batch.column(0), params):
                     if not len(own):
                         continue
-                    within = np.arange(len(own)) - np.repeat(rows[:-1], np.diff(rows))
-                    at = np.flatnonzero((within + np.repeat(np.diff(rows), np.diff(rows))) % ROUND_SHARE == turn)
+                    at = _targets(rows, turn)
                     if not len(at):
                         continue
                     around = _contexts(own, rows, edge)

@@ -178,6 +178,16 @@ def test_lm_scores_every_word_by_its_own_count(spark):
     assert abs(params.spread[0] - np.log(total)) < 1e-9
 
 
+def test_lm_trains_on_every_position(spark, monkeypatch):
+    from locveil.llm import lm_scoring as lm
+
+    rows = np.cumsum([0, 1, 2, 3, 0, 8, 100])
+    assert sorted(np.concatenate([lm._targets(rows, t) for t in range(lm.ROUNDS)])) == list(range(rows[-1]))
+    # Texts of two words move the weights.
+    params = lm.train(frame(spark, ["left right"] * 50))
+    assert np.abs(params.flat - lm._start()).max() > 0.01
+
+
 def test_lm_vocabulary_grows(spark, monkeypatch):
     from locveil.llm import lm_scoring as lm
 
