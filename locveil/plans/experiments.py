@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import eps_weight
-from ..operators import condition, crowd, domains, exponential, geometry, metrics, sample, zoning
+from ..operators import condition, core, crowd, domains, exponential, geometry, lp, metrics, sample, zoning
 from ..sources import read
+from ..sources.scratch import materialise
 from . import schemes
 
 # The parameter grids.
@@ -15,6 +18,9 @@ E_MINS = tuple(round(0.05 * i, 2) for i in range(1, 11))
 EPS_DENSE = (*(round(0.1 + 0.2 * i, 1) for i in range(10)), 2.0)
 EPS_SPARSE = tuple(round(0.1 + 0.2 * i, 1) for i in range(13))
 
+WTD_E_MINS = (0.1, 0.2)
+WTD_SCHEMES = ("zonal_qkm", "joint_lp", "none")
+
 #: Values of the 3 x 3 comparison of zonings; the text names none.
 REACH_EPS, REACH_E_MIN = (0.5, 1.0, 1.5), (0.05, 0.1, 0.2)
 
@@ -112,24 +118,64 @@ def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = (0.1, 0.2, 0
     return scalars(schemes.run(personal(spark, sf_dir, seed), names, [(-1.0, m) for m in e_mins], max_samp), "exp_err", "q_loss", "avg_reach", "infeasible")
 
 
-def crowd_wtd(spark: SparkSession, sf_dir: str, e_min: float = 0.1, eps: float = 1.0, n_tasks: int = 100, seed: int = 5) -> DataFrame:
-    """Travel distance of the three workers assigned by reported cells: zonal, joint programme, and no privacy."""
-    cells = domains.eps_constant(domains.prior_table2(domains.sparse(spark, sf_dir)), eps)
-    dist = geometry.pairs(cells)
-    zones = zoning.zone_qkm(cells, [(eps, e_min)], max_samp=20, patience=schemes.PATIENCE).where("status = 'ok'").select("domain_id", "cell_id", "zone_id")
-    stats = condition.zone_stats(zones, cells, dist)
-    zonal = exponential.zonal_kernel(zones, stats, dist)
-    target = metrics.exp_err(zonal, cells, dist).first()["exp_err"]  # one number per domain
-    joint = exponential.lp_kernel(cells, 0.3, 0.05, target).select("domain_id", "i", "j", "k")
+_KERNELS = "domain_id string, eps_param double, e_min double, scheme string, i long, j long, k double"
+
+
+def _wtd_kernels(cells: DataFrame, params: DataFrame, max_samp: int, delta: float = 0.05) -> DataFrame:
+    """Zonal kernel and the joint programme tuned to its error, one task for each domain and parameter pair."""
+    live = cells.select("domain_id", "cell_id", "x", "y", "prior").join(F.broadcast(params), "domain_id")
+
+    def one(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("cell_id").reset_index(drop=True)
+        xy, p, ids, n = pdf[["x", "y"]].to_numpy(), pdf["prior"].to_numpy(), pdf["cell_id"].to_numpy(), len(pdf)
+        d = core.distances(xy[:, 0], xy[:, 1])
+        e, m = float(pdf["eps_param"].iloc[0]), float(pdf["e_min"].iloc[0])
+        dom = schemes.Domain(p, xy, d, np.full(n, e), [])
+        zone = schemes.zoned(dom, "qkm", dom.eps, m, None, max_samp)
+        made = {}
+        if zone is not None:
+            made["zonal_qkm"] = core.kernel(core.zonal_scale(zone, dom.eps, d), d)
+            target = lp.exp_err(made["zonal_qkm"], p, d)
+            made["joint_lp"] = lp.tuned(p, d, target, delta, target)[0].kernel
+            made["none"] = np.eye(n)
+        rows = [(pdf["domain_id"].iloc[0], e, m, name, int(i), int(j), float(k[a, b])) for name, k in made.items() for a, i in enumerate(ids) for b, j in enumerate(ids)]
+        return pd.DataFrame(rows, columns=["domain_id", "eps_param", "e_min", "scheme", "i", "j", "k"])
+
+    # The rows are few but the work is long: an explicit count keeps them from being coalesced into one task.
+    return live.repartition(64, "domain_id", "eps_param", "e_min").groupBy("domain_id", "eps_param", "e_min").applyInPandas(one, _KERNELS)
+
+
+def wtd_grid(spark: SparkSession, sf_dir: str, params: list[tuple[str, float, float]] | None = None, n_tasks: int = 100, max_samp: int = 20, seed: int = 5) -> DataFrame:
+    """Travel distance of the three workers assigned by reported cells: zonal, joint programme at the same error, and no privacy.
+
+    ``params`` are (domain, eps, e_min); by default both domains, e_min 0.1 and 0.2, all budgets.
+    An infeasible setting has a null distance.
+    """
+    params = params or [(name, e, m) for name, grid in (("dense", EPS_DENSE), ("sparse", EPS_SPARSE)) for e in grid for m in WTD_E_MINS]
+    table = spark.createDataFrame([(n, float(e), float(m)) for n, e, m in params], "domain_id string, eps_param double, e_min double")
+    cells = both(spark, sf_dir).join(F.broadcast(table.select("domain_id").distinct()), "domain_id", "left_semi")
+    kernels = materialise(_wtd_kernels(cells, table, max_samp), "wtd-kernels")
     events = domains.event_cells(read(spark, sf_dir, "events", "event_id", "ts", "user_id", "event_type", "value", "props"))
     at = events.join(F.broadcast(cells.select("domain_id", "cell_id", "cx", "cy")), ["cx", "cy"]).drop("props", "value")
-    task = crowd.tasks(at, n_tasks)
+    task = None
+    for name in sorted({n for n, _, _ in params}):  # two domains; each has its own last tasks
+        own = crowd.tasks(at.where(F.col("domain_id") == name), n_tasks)
+        task = own if task is None else task.unionByName(own)
     work = crowd.workers_asof(task, at, seed=seed)
-    out = []
-    for name, k in (("zonal_qkm", zonal), ("joint_lp", joint), ("none", exponential.identity_kernel(dist))):
-        seen = sample.draw(work, exponential.packed(k), seed)
-        out.append(crowd.wtd(crowd.assign(seen, dist), dist).select("domain_id", F.lit(name).alias("scheme"), F.round("wtd", 4).alias("wtd"), "tasks"))
-    return out[0].unionByName(out[1]).unionByName(out[2])
+    # One domain for each setting and scheme: the operators below are keyed by domain_id.
+    names = table.crossJoin(spark.createDataFrame([(x,) for x in WTD_SCHEMES], "scheme string"))
+    key = F.concat_ws("|", "domain_id", "eps_param", "e_min", "scheme")
+    keyed = F.broadcast(names.select("domain_id", key.alias("key")))
+    dist = geometry.pairs(cells).join(keyed, "domain_id").drop("domain_id").withColumnRenamed("key", "domain_id")
+    work = work.join(keyed, "domain_id").drop("domain_id").withColumnRenamed("key", "domain_id")
+    seen = sample.draw(work, exponential.packed(kernels.select(key.alias("domain_id"), "i", "j", "k")), seed)
+    got = crowd.wtd(crowd.assign(seen, dist), dist).withColumnRenamed("domain_id", "key")
+    return names.withColumn("key", key).join(got, "key", "left").select("domain_id", "scheme", "eps_param", "e_min", F.round("wtd", 4).alias("wtd"), "tasks")
+
+
+def crowd_wtd(spark: SparkSession, sf_dir: str, e_min: float = 0.1, eps: float = 1.0, n_tasks: int = 100, seed: int = 5) -> DataFrame:
+    """One setting of the sparse domain."""
+    return wtd_grid(spark, sf_dir, [("sparse", eps, e_min)], n_tasks, seed=seed).select("domain_id", "scheme", "wtd", "tasks")
 
 
 def audit_adaptive(spark: SparkSession, sf_dir: str, eps: float = 1.0, e_min: float = 0.1) -> DataFrame:

@@ -816,7 +816,7 @@ def exp_personal(spark, sf_dir):
 
 @query()
 def exp_wtd(spark, sf_dir):
-    return experiments.crowd_wtd(spark, sf_dir)
+    return experiments.wtd_grid(spark, sf_dir)
 
 
 @query()

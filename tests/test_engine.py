@@ -172,3 +172,15 @@ def test_query_matches_sql(spark, name):
     flat = lambda v: round(float(v), 6) + 0.0 if isinstance(v, float) else v
     want = sorted(tuple(flat(v) for v in r) for r in con.fetchall())
     assert sorted(tuple(flat(r[c]) for c in cols) for r in df.collect()) == want
+
+
+def test_crowd_grid_has_every_setting(spark):
+    from locveil.plans import experiments
+
+    params = [("dense", 0.5, 0.1), ("dense", 0.5, 0.2), ("sparse", 1.5, 0.1), ("dense", 9.0, 0.2)]
+    rows = experiments.wtd_grid(spark, SF, params, n_tasks=20, max_samp=2).collect()
+    got = {(r.domain_id, r.eps_param, r.e_min, r.scheme): r.wtd for r in rows}
+    assert len(rows) == len(got) == 3 * len(params)
+    for p in params[:3]:
+        assert got[*p, "none"] <= got[*p, "zonal_qkm"] and got[*p, "joint_lp"] > 0
+    assert got[*params[3], "zonal_qkm"] is None
