@@ -106,13 +106,19 @@ def vary_emin(spark: SparkSession, sf_dir: str, eps: float = 1.0, max_samp: int
     return scalars(schemes.run(both(spark, sf_dir), ["zonal_curve", "zonal_qkm"], [(eps, m) for m in e_mins], max_samp), "exp_err", "q_loss", "avg_reach", "infeasible")
 
 
+def joint_grid(name: str) -> list[tuple[float, float]]:
+    """Budgets of a set at e_min 0.2, then error bounds at eps 1.0."""
+    return [(e, 0.2) for e in (EPS_DENSE if name == "dense" else EPS_SPARSE)] + [(1.0, m) for m in E_MINS]
+
+
 def joint_loss(spark: SparkSession, sf_dir: str, params: list[tuple[float, float]] | None = None, max_samp: int = 8) -> DataFrame:
     """Quasi-k-means zoning against the joint programme at equal expected inference error."""
-    params = params or [(0.5, 0.2), (1.0, 0.2), (1.5, 0.2), (1.0, 0.1), (1.0, 0.3)]
-    return scalars(schemes.run(both(spark, sf_dir), ["zonal_qkm", "joint_lp_qkm"], params, max_samp), "exp_err", "q_loss", "target", "eps_g", "infeasible")
+    cells = both(spark, sf_dir)
+    out = [schemes.run(cells.where(F.col("domain_id") == name), ["zonal_qkm", "joint_lp_qkm"], params or joint_grid(name), max_samp) for name in ("dense", "sparse")]
+    return scalars(out[0].unionByName(out[1]), "exp_err", "q_loss", "target", "eps_g", "infeasible")
 
 
-def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = (0.1, 0.2, 0.3), max_samp: int = 8, seed: int = 11) -> DataFrame:
+def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = E_MINS, max_samp: int = 8, seed: int = 11) -> DataFrame:
     """Two personal schemes against two with the least budget for all."""
     names = ["personal_curve", "unified_curve", "personal_qkm", "unified_qkm"]
     return scalars(schemes.run(personal(spark, sf_dir, seed), names, [(-1.0, m) for m in e_mins], max_samp), "exp_err", "q_loss", "avg_reach", "infeasible")

@@ -184,3 +184,16 @@ def test_crowd_grid_has_every_setting(spark):
     for p in params[:3]:
         assert got[*p, "none"] <= got[*p, "zonal_qkm"] and got[*p, "joint_lp"] > 0
     assert got[*params[3], "zonal_qkm"] is None
+
+
+def test_joint_and_personal_grids_are_whole(spark, monkeypatch):
+    from locveil.plans import experiments
+
+    asked = []
+    monkeypatch.setattr(experiments.schemes, "run", lambda cells, names, params, *a: asked.append(params) or spark.createDataFrame([], schemes.MEASURES))
+    experiments.joint_loss(spark, SF)
+    experiments.personal_gain(spark, SF)
+    dense, sparse, own = map(set, asked)
+    assert dense == {(e, 0.2) for e in experiments.EPS_DENSE} | {(1.0, m) for m in experiments.E_MINS} and len(dense) == 21
+    assert sparse == {(e, 0.2) for e in experiments.EPS_SPARSE} | {(1.0, m) for m in experiments.E_MINS} and len(sparse) == 23
+    assert own == {(-1.0, m) for m in experiments.E_MINS}
