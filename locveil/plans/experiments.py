@@ -95,14 +95,14 @@ def em_maxreach(spark: SparkSession, sf_dir: str, eps: float = 1.0, e_min: float
     return scalars(got, "q_loss", "exp_err", "reach", "max_reach", "min_exper")
 
 
-def vary_eps(spark: SparkSession, sf_dir: str, e_min: float = 0.2, max_samp: int = 8, dense_eps: tuple = EPS_DENSE, sparse_eps: tuple = EPS_SPARSE) -> DataFrame:
+def vary_eps(spark: SparkSession, sf_dir: str, e_min: float = 0.2, max_samp: int = 20, dense_eps: tuple = EPS_DENSE, sparse_eps: tuple = EPS_SPARSE) -> DataFrame:
     """Error and loss of both zonings over the budgets of each set."""
     cells = both(spark, sf_dir)
     out = [schemes.run(cells.where(F.col("domain_id") == name), ["zonal_curve", "zonal_qkm"], [(e, e_min) for e in grid], max_samp) for name, grid in (("dense", dense_eps), ("sparse", sparse_eps))]
     return scalars(out[0].unionByName(out[1]), "exp_err", "q_loss", "avg_reach", "infeasible")
 
 
-def vary_emin(spark: SparkSession, sf_dir: str, eps: float = 1.0, max_samp: int = 8, e_mins: tuple = E_MINS) -> DataFrame:
+def vary_emin(spark: SparkSession, sf_dir: str, eps: float = 1.0, max_samp: int = 20, e_mins: tuple = E_MINS) -> DataFrame:
     return scalars(schemes.run(both(spark, sf_dir), ["zonal_curve", "zonal_qkm"], [(eps, m) for m in e_mins], max_samp), "exp_err", "q_loss", "avg_reach", "infeasible")
 
 
@@ -111,14 +111,14 @@ def joint_grid(name: str) -> list[tuple[float, float]]:
     return [(e, 0.2) for e in (EPS_DENSE if name == "dense" else EPS_SPARSE)] + [(1.0, m) for m in E_MINS]
 
 
-def joint_loss(spark: SparkSession, sf_dir: str, params: list[tuple[float, float]] | None = None, max_samp: int = 8) -> DataFrame:
+def joint_loss(spark: SparkSession, sf_dir: str, params: list[tuple[float, float]] | None = None, max_samp: int = 20) -> DataFrame:
     """Quasi-k-means zoning against the joint programme at equal expected inference error."""
     cells = both(spark, sf_dir)
     out = [schemes.run(cells.where(F.col("domain_id") == name), ["zonal_qkm", "joint_lp_qkm"], params or joint_grid(name), max_samp) for name in ("dense", "sparse")]
     return scalars(out[0].unionByName(out[1]), "exp_err", "q_loss", "target", "eps_g", "infeasible")
 
 
-def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = E_MINS, max_samp: int = 8, seed: int = 11) -> DataFrame:
+def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = E_MINS, max_samp: int = 20, seed: int = 11) -> DataFrame:
     """Two personal schemes against two with the least budget for all."""
     names = ["personal_curve", "unified_curve", "personal_qkm", "unified_qkm"]
     return scalars(schemes.run(personal(spark, sf_dir, seed), names, [(-1.0, m) for m in e_mins], max_samp), "exp_err", "q_loss", "avg_reach", "infeasible")

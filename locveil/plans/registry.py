@@ -325,14 +325,20 @@ def zones_qkm_sparse(spark, sf_dir):
     return _zone_report(zoning.zone_qkm(_cells(spark, sf_dir, "sparse"), [(1.0, 0.2)]))
 
 
+def _by_k(spark, sf_dir):
+    """All k that zones of two cells allow (k = 1 is the whole domain), with all restarts."""
+    cells = _cells(spark, sf_dir)
+    return zoning.qkm_by_k(cells, [(1.0, 0.2)], list(range(1, cells.count() // 2 + 1)))
+
+
 @query()
 def zones_qkm_by_k(spark, sf_dir):
-    return zoning.qkm_by_k(_cells(spark, sf_dir), [(1.0, 0.2)], list(range(2, 15)), 10).select("domain_id", "e_min", F.col("k").cast("long").alias("k"), F.round("avg_reach", 6).alias("avg_reach"))
+    return _by_k(spark, sf_dir).select("domain_id", "e_min", F.col("k").cast("long").alias("k"), F.round("avg_reach", 6).alias("avg_reach"))
 
 
 @query()
 def zones_qkm_choose_k(spark, sf_dir):
-    return zoning.choose_k(zoning.qkm_by_k(_cells(spark, sf_dir), [(1.0, 0.2)], list(range(2, 15)), 10))
+    return zoning.choose_k(_by_k(spark, sf_dir))
 
 
 @query()

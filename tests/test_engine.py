@@ -197,3 +197,17 @@ def test_joint_and_personal_grids_are_whole(spark, monkeypatch):
     assert dense == {(e, 0.2) for e in experiments.EPS_DENSE} | {(1.0, m) for m in experiments.E_MINS} and len(dense) == 21
     assert sparse == {(e, 0.2) for e in experiments.EPS_SPARSE} | {(1.0, m) for m in experiments.E_MINS} and len(sparse) == 23
     assert own == {(-1.0, m) for m in experiments.E_MINS}
+
+
+def test_restarts_and_k_are_whole(spark, monkeypatch):
+    import inspect
+
+    from locveil.plans import experiments
+
+    for f in (experiments.vary_eps, experiments.vary_emin, experiments.joint_loss, experiments.personal_gain):
+        assert inspect.signature(f).parameters["max_samp"].default == 20
+    asked = []
+    monkeypatch.setattr(registry.zoning, "qkm_by_k", lambda cells, params, ks, max_samp=20, **how: asked.append((ks, max_samp)) or spark.createDataFrame([("dense", 1.0, 0.2, 1, 4.0)], "domain_id string, eps_param double, e_min double, k int, avg_reach double"))
+    registry.QUERIES["zones_qkm_by_k"](spark, SF)
+    registry.QUERIES["zones_qkm_choose_k"](spark, SF)
+    assert asked == [(list(range(1, 26)), 20)] * 2
