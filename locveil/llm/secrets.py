@@ -14,10 +14,11 @@ from pyspark.sql import functions as F
 ASSIGN = r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]+"
 HEX = r"[0-9a-f]{32,}"  # leftmost runs of 32 and more, the same as all runs without the shorter
-# Parts that only count when complementary ones are near: identifiers, weak secrets, endpoints.
-IDENTIFIER = r"""(?i:\b(?:user(?:name)?|login|client_?id|access_?key_?id|account))["']?\x20*[:=]\x20*["']?[A-Za-z0-9@._-]{3,}|\bAKIA[A-Z0-9]{8,}"""
-WEAK_SECRET = r"""(?i:\b(?:pwd|pass|password|passwd|passphrase|secret|token|api_?key|auth|signature|private_?key))["']?\x20*[:=]\x20*["']?[A-Za-z0-9+/_.=!@#$%^&*-]{4,}"""
-ENDPOINT = r"""(?i:\b(?:https?|s3|ftp|ssh|jdbc:[a-z]+|postgres(?:ql)?|mysql|mongodb|redis|amqp))://[^\s"'<>]{3,}|(?i:\b(?:host|endpoint|server|url))["']?\x20*[:=]\x20*["']?[A-Za-z0-9._:/-]{3,}"""
+# Parts that only count when complementary ones are near: identifiers, weak secrets, endpoints.  A name may
+# follow a prefix ("DB_USER"), of which a part takes the "_" at most, and go on ("aws_secret_access_key").
+IDENTIFIER = r"""(?i:(?:\b|_)(?:(?:user(?:name)?|login|account)(?:[_-]?(?:id|name))?|client_?id|access_?key_?id))["']?\x20*[:=]\x20*["']?[A-Za-z0-9@._-]{3,}|(?:\b|_)AKIA[A-Z0-9]{8,}"""
+WEAK_SECRET = r"""(?i:(?:\b|_)(?:pwd|pass|password|passwd|passphrase|secret|token|api_?key|auth|signature|private_?key)(?:[_-](?:access|api|secret|private|auth|key|token|value|id)){0,3})["']?\x20*[:=]\x20*["']?[A-Za-z0-9+/_.=!@#$%^&*-]{4,}"""
+ENDPOINT = r"""(?i:(?:\b|_)(?:https?|s3|ftp|ssh|jdbc:[a-z]+|postgres(?:ql)?|mysql|mongodb|redis|amqp))://[^\s"'<>]{3,}|(?i:(?:\b|_)(?:host|endpoint|server|url)(?:[_-]?(?:name|url))?)["']?\x20*[:=]\x20*["']?[A-Za-z0-9._:/-]{3,}"""
 
 #: Code points between the parts of one credential, at most (the scope).
 SCOPE = 200
