@@ -5,7 +5,10 @@ class (a power of two) fixes how many bins there are, so that a bin holds half a
 shingle on average and a short item is not drowned in a long document.  The sketch
 is the least and the greatest hash of each bin.  An item is sketched once for each
 size class; a document and an item that share a sketch value are a candidate, and
-the exact share of the item's shingles in the document decides.
+the exact share of the item's shingles in the document decides.  Items of few
+shingles are looked up among all shingles of the document instead, which is exact;
+an item of fewer than k words is one shingle and matches a document of just these
+words, as in the SQL.
 """
 
 from __future__ import annotations
@@ -24,6 +27,10 @@ from ._tokens import distinct_sets, pieces, shingles, words
 ITEMS_CHARS = 32_000_000
 
 
+#: Items of at most so many shingles are compared with all shingles of a document: the sketch may miss them.
+FEW = 3
+
+
 class Items(NamedTuple):
     ids: np.ndarray
     values: np.ndarray
@@ -63,6 +70,9 @@ class _Search:
 
     def __init__(self, items: Items, k: int, num: int, den: int):
         self.items, self.k, self.num, self.den, self.tables = items, k, num, den, {}
+        few = np.flatnonzero(np.repeat(np.diff(items.ptr) <= FEW, np.diff(items.ptr)))
+        few = few[np.argsort(items.values[few], kind="stable")]
+        self.few = items.values[few], np.searchsorted(items.ptr, few, "right") - 1
 
     def table(self, bits: int):
         if bits not in self.tables:
@@ -81,8 +91,14 @@ class _Search:
             chosen = np.flatnonzero(_sketch(values, ptr, bits))
             if not len(chosen) or not len(items.values):
                 continue
+            small, small_of = self.few
             owner = np.searchsorted(ptr, chosen, "right") - 1
             found = set()
+            if len(small):
+                lo, hi = np.searchsorted(small, values, "left"), np.searchsorted(small, values, "right")
+                for i in np.flatnonzero(hi > lo):
+                    r = int(np.searchsorted(ptr, i, "right")) - 1
+                    found.update((r, int(small_of[j])) for j in range(lo[i], hi[i]))
             for b in np.unique(bits[owner]):
                 table, of = self.table(int(b))
                 mine = chosen[bits[owner] == b]
@@ -99,12 +115,12 @@ class _Search:
 
 
 def _blocks(benchmark: DataFrame, k: int):
-    """The benchmark's shingles in blocks of bounded size."""
-    benchmark = benchmark.where("text is not null and item_id is not null").select("item_id", "text")
+    """The benchmark's shingles in blocks of bounded size; items without an id count as well."""
+    benchmark = benchmark.where("text is not null").select("item_id", "text")
     chars = benchmark.agg(F.sum(F.length("text"))).first()[0] or 0
     blocks = max(1, -(-chars // ITEMS_CHARS))
     for b in range(blocks):
-        part = benchmark.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == b) if blocks > 1 else benchmark
+        part = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b) if blocks > 1 else benchmark
         items = _items(part.toPandas().sort_values("item_id", kind="stable"), k)
         yield items
 
@@ -118,7 +134,7 @@ def contained_items(docs: DataFrame, benchmark: DataFrame, k: int = 5, num: int
     a-z.  Repeated rows are searched each; empty tables give an empty result.
     """
     out = None
-    for items in _blocks(benchmark, k):
+    for items in _blocks(benchmark.where("item_id is not null"), k):
         sent = docs.sparkSession.sparkContext.broadcast(items)
 
         def found(batches, sent=sent):
