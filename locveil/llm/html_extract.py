@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 # Element kinds of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style title textarea noscript template iframe object svg math select button option xmp".split())
+HEAD = frozenset("html head base link meta script style title noscript template".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var br img wbr".split())
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 KINDS = ("html", "body", "div", "section", "article", "main", "p", "h1", "h2", "h3", "h4", "h5", "h6", "ul", "ol", "li", "dl", "dt", "dd", "table", "tr", "td", "th", "blockquote", "pre", "figure", "figcaption", "nav", "header", "footer", "aside", "form", "menu", "address", "details", "dialog", "fieldset", "other")
@@ -61,10 +62,12 @@ def parse(page: str) -> list[Node]:
     stack = [0]
     order = links = at = 0
     low = None
+    head = False  # inside the head; text or an element that cannot be there ends it
 
     def text(chunk: str) -> None:
-        nonlocal order
-        if chunk:
+        nonlocal order, head
+        head = head and not chunk.strip()
+        if chunk and not head:
             node = nodes[stack[-1]]
             node.items.append((order, chunk))
             if links:
@@ -81,6 +84,7 @@ def parse(page: str) -> list[Node]:
             continue
         tag = m[2].lower()
         if not m[1]:
+            head = head and tag in HEAD
             if tag in RAW and not m[3].rstrip().endswith("/"):
                 low = page.lower() if low is None else low
                 end = low.find(f"</{tag}", at)
@@ -95,12 +99,7 @@ def parse(page: str) -> list[Node]:
             if tag in INLINE or tag in VOID:
                 continue
             if tag in ("html", "head") or (tag == "body" and len(nodes) > 1 and nodes[stack[-1]].tag == "body"):
-                if tag == "head":
-                    low = page.lower() if low is None else low
-                    end = low.find("</head", at)
-                    body = low.find("<body", at)
-                    stop = min(x for x in (end, body, len(page)) if x >= 0)
-                    at = stop
+                head = head or (tag == "head" and len(nodes) == 1)
                 continue
             if tag in CLOSES_P and nodes[stack[-1]].tag == "p":
                 stack.pop()
@@ -118,6 +117,7 @@ def parse(page: str) -> list[Node]:
             stack.append(len(nodes) - 1)
             links = 0
         else:
+            head = head and tag not in ("head", "body", "html")
             if tag == "a":
                 links = max(0, links - 1)
             if tag in INLINE or tag in VOID:
