@@ -5,19 +5,27 @@ texts), the rest by hash.  It is cut into fragments; a document's set becomes on
 segment per fragment.  Two documents can only link when they share an n-gram of
 their prefixes in that order, which yields candidate pairs; the fragments of a pair
 are joined and counted separately, and the partial overlaps are summed per pair.
+
+Buckets of a shared n-gram do not give all their pairs.  First every document meets
+one partner a bucket, the least that may still link, and of a component's partners
+again only the least is counted; links found so merge components, round by round
+while most pairs counted link.  What still lies between two components afterwards
+is counted in full, so that no link between different texts is lost.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._scratch import drop, written
+from ._scratch import drop, free_name, written
 from ._tokens import distinct_sets, mix, pieces, shingles, words
 from .components import components
 
@@ -27,6 +35,7 @@ COMMON = 64
 MOST_COMMON_ENTRIES = 1 << 21
 #: Rows of a frequent n-gram's bucket that meet in one task.
 BLOCK = 1024
+#: Halves by hash of the n-grams that are not frequent, then of the frequent ones.
 FRAGMENTS = 4
 #: Fingerprints are counted in 2^10 parts, and in more, up to 2^16, where the input has many tasks.
 _PART_BITS, _MOST_PART_BITS = 10, 16
@@ -78,12 +87,24 @@ def _common(docs: DataFrame, k: int, bits: int = _PART_BITS) -> np.ndarray:
     return np.sort((got["part"].to_numpy(np.uint64) << np.uint64(32)) | got["low"].to_numpy(np.int32).view(np.uint32).astype(np.uint64))
 
 
-def _is_common(values: np.ndarray, common: np.ndarray, bits: int = _PART_BITS) -> np.ndarray:
-    if not len(common):
-        return np.zeros(len(values), bool)
-    prints = values >> np.uint64(64 - bits - 32)
-    at = np.minimum(np.searchsorted(common, prints), len(common) - 1)
-    return common[at] == prints
+class _Order(NamedTuple):
+    """The global order: which n-grams are frequent and so come last."""
+
+    common: Broadcast
+    bits: int
+
+    def last(self, values: np.ndarray) -> np.ndarray:
+        common = self.common.value
+        if not len(common):
+            return np.zeros(len(values), bool)
+        prints = values >> np.uint64(64 - self.bits - 32)
+        at = np.minimum(np.searchsorted(common, prints), len(common) - 1)
+        return common[at] == prints
+
+
+def _order(docs: DataFrame, k: int) -> _Order:
+    bits = min(_MOST_PART_BITS, max(_PART_BITS, docs.rdd.getNumPartitions().bit_length() + 2))
+    return _Order(docs.sparkSession.sparkContext.broadcast(_common(docs, k, bits)), bits)
 
 
 def _parity(values: np.ndarray) -> bytes:
@@ -127,15 +148,12 @@ def _key() -> Column:
 _SKETCH = "key long, doc_id long, n_shingles long, rep long, rare array<long>, often array<long>, parity binary"
 
 
-def _sketches(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    bits = min(_MOST_PART_BITS, max(_PART_BITS, docs.rdd.getNumPartitions().bit_length() + 2))
-    common = docs.sparkSession.sparkContext.broadcast(_common(docs, k, bits))
-
+def _sketches(docs: DataFrame, k: int, num: int, den: int, order: _Order) -> DataFrame:
     def made(batches):
         for batch in batches:
             keys, ids = batch.column(0), batch.column(1)
             for row, values, ptr in _sets(batch.column(2), k):
-                often = _is_common(values, common.value, bits)
+                often = order.last(values)
                 sizes = np.diff(ptr)
                 rare, late, parity = [], [], []
                 for a, b in zip(ptr[:-1].tolist(), ptr[1:].tolist(), strict=True):
@@ -152,27 +170,68 @@ def _sketches(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     return written(_keyed(docs).mapInArrow(made, _SKETCH), "sketches")
 
 
-def _rare_pairs(classes: DataFrame, num: int, den: int) -> DataFrame:
-    """Pairs that share an n-gram of at most COMMON documents in their prefixes, by buckets of that bounded size."""
-    rows = classes.select("rep", F.col("n_shingles").cast("int").alias("n"), F.posexplode("rare").alias("pos", "gram"))
-    rows = rows.repartition("gram").sortWithinPartitions("gram")
+_MET = "gram long, rep long, n int, pos int, comp long, parent long"
+
+
+def _met(classes: DataFrame, num: int, den: int) -> DataFrame:
+    """Rows of the buckets of n-grams in at most COMMON documents that have a partner there: with the least one, as ``parent``."""
+    rows = classes.select(F.posexplode("rare").alias("pos", "gram"), "rep", F.col("n_shingles").cast("int").alias("n"), F.col("rep").alias("comp"))
+
+    def least(block: np.ndarray) -> pa.RecordBatch | None:
+        parent = np.full(len(block), -1)
+        paired = np.zeros(len(block), bool)
+        for i, j in _bucket_pairs(block, num, den):  # steps ascend, so that a later one is a lesser partner
+            parent[j] = i
+            paired[i] = paired[j] = True
+        at = np.flatnonzero(paired)
+        if not len(at):
+            return None
+        up = pa.array(block[parent[at], 1], pa.int64(), mask=parent[at] < 0)
+        return _batch(block[at], up)
+
+    return _by_bucket(rows, least, _MET)
+
+
+def _between(met: DataFrame, labels: DataFrame, num: int, den: int) -> DataFrame:
+    """All pairs of the buckets' rows that lie in different components and may still link."""
+    rows = met.drop("parent", "comp").join(labels.select("rep", "comp"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+
+    def apart(block: np.ndarray) -> pa.RecordBatch | None:
+        found = [np.stack([i, j], 1) for i, j in _bucket_pairs(block, num, den)]
+        if not found:
+            return None
+        pairs = np.sort(block[np.concatenate(found), 1], axis=1)
+        pairs = np.unique(pairs, axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+
+    return _by_bucket(rows, apart, "a long, b long").distinct()
+
+
+def _batch(block: np.ndarray, up: pa.Array) -> pa.RecordBatch:
+    gram, rep, n, pos, comp = (pa.array(c) for c in block.T)
+    return pa.RecordBatch.from_arrays([gram, rep, n.cast(pa.int32()), pos.cast(pa.int32()), comp, up], ["gram", "rep", "n", "pos", "comp", "parent"])
 
-    def paired(batches):
-        kept = np.zeros((0, 4), np.int64)  # the last bucket so far: it may go on in the next batch
+
+def _by_bucket(rows: DataFrame, made, schema: str) -> DataFrame:
+    """Apply ``made`` to blocks ``gram, rep, n, pos, comp`` of whole buckets, in the order of gram and rep."""
+    rows = rows.repartition("gram").sortWithinPartitions("gram", "rep").select("gram", "rep", "n", "pos", "comp")
+
+    def run(batches):
+        kept = np.zeros((0, 5), np.int64)  # the last bucket so far: it may go on in the next batch
         for batch in batches:
-            block = np.concatenate([kept, np.stack([batch.column(i).to_numpy().astype(np.int64) for i in range(4)], 1)])
+            block = np.concatenate([kept, np.stack([batch.column(i).to_numpy().astype(np.int64) for i in range(5)], 1)])
             if not len(block):
                 continue
             cut = _last_run(block[:, 0])
             block, kept = block[:cut], block[cut:]
-            out = _bucket_pairs(block, num, den)
-            if len(out):
-                yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], ["a", "b"])
-        out = _bucket_pairs(kept, num, den)
-        if len(out):
-            yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], ["a", "b"])
+            out = made(block)
+            if out is not None:
+                yield out
+        out = made(kept)
+        if out is not None:
+            yield out
 
-    return rows.select("gram", "rep", "n", "pos").mapInArrow(paired, "a long, b long").distinct()
+    return rows.mapInArrow(run, schema)
 
 
 def _last_run(grams: np.ndarray) -> int:
@@ -180,21 +239,18 @@ def _last_run(grams: np.ndarray) -> int:
     return int(other[-1]) + 1 if len(other) else 0
 
 
-def _bucket_pairs(block: np.ndarray, num: int, den: int) -> np.ndarray:
-    """Pairs of equal grams whose sizes and positions still allow a link, each once."""
-    found = []
-    gram, rep, n, pos = block.T
+def _bucket_pairs(block: np.ndarray, num: int, den: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Rows of one bucket and of different components whose sizes and positions still allow a link, by their distance."""
+    gram, _, n, pos, comp = block.T
     for step in range(1, len(block)):
-        same = np.flatnonzero(gram[step:] == gram[:-step])
-        if not len(same):
+        i = np.flatnonzero(gram[step:] == gram[:-step])
+        if not len(i):
             break
-        i, j = same, same + step
+        j = i + step
         need = -(-num * (n[i] + n[j]) // (num + den))
-        ok = (num * np.maximum(n[i], n[j]) <= den * np.minimum(n[i], n[j])) & (np.minimum(n[i] - pos[i], n[j] - pos[j]) >= need) & (rep[i] != rep[j])
-        i, j = i[ok], j[ok]
-        found.append(np.stack([np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])], 1))
-    out = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
-    return np.unique(out, axis=0) if len(out) else out
+        ok = (num * np.maximum(n[i], n[j]) <= den * np.minimum(n[i], n[j])) & (np.minimum(n[i] - pos[i], n[j] - pos[j]) >= need) & (comp[i] != comp[j])
+        if ok.any():
+            yield i[ok], j[ok]
 
 
 def _common_pairs(classes: DataFrame, num: int, den: int, labels: DataFrame | None) -> DataFrame:
@@ -202,11 +258,12 @@ def _common_pairs(classes: DataFrame, num: int, den: int, labels: DataFrame | No
 
     A bucket is cut into blocks of BLOCK rows on average; each two blocks meet in a task of their own
     and compare set parities.  Without labels a task returns a spanning forest of its passing pairs,
-    closest first; with labels it returns every passing pair of different components.
+    those of least rows first, which different buckets have in common; with labels it returns every
+    passing pair of different components.
     """
     rows = classes.where(F.size("often") > 0).withColumn("comp", F.lit(None).cast("long"))
     if labels is not None:
-        rows = rows.drop("comp").join(labels.select(F.col("node").alias("rep"), "comp"), "rep", "left")
+        rows = rows.drop("comp").join(labels.select("rep", "comp"), "rep", "left")
     # With each n-gram goes the one before it in the document's prefix: two rows that agree on both met there already.
     grams = F.explode(F.transform("often", lambda g, i: F.struct(g.alias("gram"), F.coalesce(F.get("often", i - 1), F.col("rep")).alias("before"))))
     rows = rows.select("rep", F.col("n_shingles").alias("n"), "parity", F.coalesce("comp", "rep").alias("comp"), grams.alias("g")).select("*", "g.*").drop("g")
@@ -234,22 +291,26 @@ def _close_pairs(rep, n, parity, comp, block, before, num, den, forest: bool) ->
     for w in np.unique(wide):
         own = np.flatnonzero(wide == w)
         mine = np.stack([np.frombuffer(parity[order[i]], np.uint64) for i in own])
-        above = np.flatnonzero(wide == 2 * w)
+        above = np.flatnonzero(wide == 2 * w)  # sizes that may link differ by less than twice
         theirs = _folded(np.stack([np.frombuffer(parity[order[i]], np.uint64) for i in above]), mine.shape[1]) if len(above) else mine[:0]
         index, cells = np.concatenate([own, above]), np.concatenate([mine, theirs])
+        # Most rows may be of one component already: these meet the others only.
+        names, many = np.unique(comp[index], return_counts=True)
+        major = names[many.argmax()]
+        minor = np.flatnonzero(comp[index] != major)
         for p in range(len(own)):
             i = own[p]
-            j = index[p + 1 :]
-            stop = int(np.searchsorted(num * n[j], den * n[i], "right"))  # sizes ascend
-            j = j[:stop]
-            if not len(j):
+            stop = int(np.searchsorted(num * n[index], den * n[i], "right"))  # sizes ascend
+            at = minor[np.searchsorted(minor, p, "right") : np.searchsorted(minor, stop)] if comp[i] == major else np.arange(p + 1, stop)
+            if not len(at):
                 continue
-            apart = np.bitwise_count(cells[p + 1 : p + 1 + stop] ^ cells[p]).sum(1, dtype=np.int64)
+            j = index[at]
+            apart = np.bitwise_count(cells[at] ^ cells[p]).sum(1, dtype=np.int64)
             ok = (apart <= _most_apart(n[i], n[j], num, den)) & (comp[j] != comp[i]) & (before[j] != before[i])
             if two:
                 ok &= block[j] != block[i]
             if ok.any():
-                found.append(np.stack([np.full(ok.sum(), i), j[ok], apart[ok]], 1))
+                found.append(np.stack([np.full(ok.sum(), i), j[ok]], 1))
     if not found:
         return np.zeros((0, 2), np.int64)
     pairs = np.concatenate(found)
@@ -263,7 +324,8 @@ def _close_pairs(rep, n, parity, comp, block, before, num, den, forest: bool) ->
             return v
 
         picked = []
-        for i, j, _ in pairs[np.argsort(pairs[:, 2], kind="stable")].tolist():
+        ends = np.sort(rep[pairs], axis=1)
+        for i, j in pairs[np.lexsort((ends[:, 1], ends[:, 0]))].tolist():
             a, b = root(i), root(j)
             if a != b:
                 up[b] = a
@@ -274,7 +336,7 @@ def _close_pairs(rep, n, parity, comp, block, before, num, den, forest: bool) ->
 
 
 def _with_parity(pairs: DataFrame, classes: DataFrame, num: int, den: int) -> DataFrame:
-    """Drop pairs whose parities lie too far apart to link; adds that lower bound of their difference."""
+    """Drop pairs whose parities lie too far apart to link; adds the sizes of their sets."""
     side = lambda c: classes.select(F.col("rep").alias(c), F.col("n_shingles").alias(f"n{c}"), F.col("parity").alias(f"p{c}"))
     both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "pa", "pb")
 
@@ -293,26 +355,29 @@ def _with_parity(pairs: DataFrame, classes: DataFrame, num: int, den: int) -> Da
                     y = (y >> width) ^ (y & ((1 << width) - 1))
                 apart = (int.from_bytes(x, "little") ^ y).bit_count()
                 if apart <= _most_apart(na[i], nb[i], num, den):
-                    keep.append((a[i], b[i], na[i], nb[i], apart))
+                    keep.append((a[i], b[i], na[i], nb[i]))
             if keep:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*keep, strict=True)], ["a", "b", "na", "nb", "apart"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*keep, strict=True)], ["a", "b", "na", "nb"])
 
-    return both.mapInArrow(near, "a long, b long, na long, nb long, apart long")
+    return both.mapInArrow(near, "a long, b long, na long, nb long")
 
 
-def _segments(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
+def _segments(docs: DataFrame, wanted: DataFrame, k: int, order: _Order) -> DataFrame:
     """One row for each wanted document and fragment of the global order: its n-grams there."""
-    shift = np.uint64(64 - (FRAGMENTS - 1).bit_length())
 
     def cut(batches):
         for batch in batches:
             for _, values, ptr in _sets(batch.column(0), k):
-                frag = (values >> shift).astype(np.int32)
+                frag = FRAGMENTS // 2 * order.last(values) + (values >> np.uint64(63)).astype(np.int32)
+                names = _class_ids(values, ptr)
+                row_of = np.repeat(np.arange(len(ptr) - 1), np.diff(ptr))
+                by = np.lexsort((frag, row_of))  # stable: by row and fragment, n-grams ascend
+                values, frag = values[by], frag[by].astype(np.int32)
                 edge = np.ones(len(values), bool)
                 edge[1:] = frag[1:] != frag[:-1]
                 edge[ptr[:-1][ptr[:-1] < len(values)]] = True
                 start = np.flatnonzero(edge)
-                owner = _class_ids(values, ptr)[np.searchsorted(ptr, start, "right") - 1]
+                owner = names[np.searchsorted(ptr, start, "right") - 1]
                 list_ptr = np.append(start, len(values)).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([pa.array(owner), pa.array(frag[start]), pa.ListArray.from_arrays(pa.array(list_ptr), pa.array(values.view(np.int64)))], ["rep", "frag", "grams"])
 
@@ -330,38 +395,91 @@ def _overlaps(pairs: DataFrame, segments: DataFrame, num: int, den: int) -> Data
     return summed.where(f"{den} * shared >= {num} * (na + nb - shared)").select("a", "b")
 
 
+def _least(pairs: DataFrame) -> DataFrame:
+    """Of each end's pairs the one with the least other end; ends are components where given (``ca, cb``)."""
+    ca, cb = ("ca", "cb") if "ca" in pairs.columns else ("a", "b")
+    ends = pairs.select(F.col(ca).alias("v"), F.struct(F.col(cb).alias("w"), "a", "b", "na", "nb").alias("s"))
+    ends = ends.union(pairs.select(F.col(cb), F.struct(F.col(ca).alias("w"), "a", "b", "na", "nb")))
+    return ends.groupBy("v").agg(F.min("s").alias("s")).select("s.a", "s.b", "s.na", "s.nb").distinct()
+
+
+def _across(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Pairs of different components, with these as ``ca, cb``."""
+    la, lb = (labels.select(F.col("rep").alias(c), F.col("comp").alias(f"c{c}")) for c in "ab")
+    both = pairs.join(la, "a", "left").join(lb, "b", "left").withColumns({"ca": F.coalesce("ca", "a"), "cb": F.coalesce("cb", "b")})
+    return both.where("ca <> cb").select("a", "b", "na", "nb", "ca", "cb")
+
+
+def _labels(links: DataFrame, firsts: DataFrame) -> DataFrame:
+    """``rep, comp, least`` of every linked set: its component, and the row that stands for it.
+
+    Nodes carry their least row, so that the component is named by one and no table is joined by component.
+    """
+    node = F.struct("first.none", "first.doc_id", "first.key", "rep")
+    a, b = (firsts.select(F.col("rep").alias(c), node.alias(f"node_{c}")) for c in "ab")
+    made = components(links.join(a, "a").join(b, "b").select(F.col("node_a").alias("a"), F.col("node_b").alias("b")))
+    return made.select(F.col("node.rep").alias("rep"), F.col("comp.rep").alias("comp"), F.struct("comp.none", "comp.doc_id", "comp.key").alias("least"))
+
+
+def _merged(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, firsts: DataFrame, counted) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """All links so far, the components they make, and the pairs still uncounted between two of these.
+
+    Each round counts one pair of every component; the driver reads two counts.
+    """
+    live = pairs if labels is None else _across(pairs, labels)
+    while True:
+        picked = written(_least(live), "picked")
+        found = written(counted(picked), "links")
+        n_picked, n_found = picked.count(), found.count()
+        links = found if links is None else links.union(found)
+        if labels is None or n_found:
+            labels = _labels(links, firsts)
+        left = live.select("a", "b", "na", "nb").join(picked, ["a", "b"], "left_anti")
+        live = _across(left, labels)
+        if 2 * n_found <= n_picked:  # what is left rarely links, or nothing is
+            return links, labels, live
+        live = written(live, "live")
+
+
 def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """``key, doc_id, n_shingles, comp`` of every row; rows of a component share comp, null without n-grams."""
-    sketches = _sketches(docs, k, num, den)
+    """``key, doc_id, n_shingles, first`` of every row; first is the row ``(none, doc_id, key)`` of its component that stands for it.
+
+    It is the one of smallest doc_id (nulls last, then by key), and null without n-grams.
+    """
+    order = _order(docs, k)
+    sketches = _sketches(docs, k, num, den, order)
     full = sketches.where("n_shingles > 0")
-    firsts = full.groupBy("rep").agg(F.min("key").alias("key"))
-    classes = full.join(firsts.select("key").distinct(), "key", "left_semi").dropDuplicates(["rep"])
+    firsts = written(full.groupBy("rep").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("first")), "firsts")
+    classes = full.join(firsts.select(F.col("first.key").alias("key")).distinct(), "key", "left_semi").dropDuplicates(["rep"])
     classes = written(classes.select("key", "rep", "n_shingles", "rare", "often", "parity"), "classes")
-    rare = written(_with_parity(_rare_pairs(classes, num, den), classes, num, den), "rare")
     size = classes.select("rep", F.col("n_shingles").alias("n"))
 
     def sized(pairs: DataFrame) -> DataFrame:
-        return pairs.join(size.select(F.col("rep").alias("a"), F.col("n").alias("na")), "a").join(size.select(F.col("rep").alias("b"), F.col("n").alias("nb")), "b").select("a", "b", "na", "nb")
-
-    often = written(sized(_common_pairs(classes, num, den, None)), "often")
-    paired = rare.select(F.col("a").alias("rep")).union(rare.select("b"))
-    wanted = classes.join(paired.distinct(), "rep", "left_semi").select("key").union(classes.where(F.size("often") > 0).select("key")).distinct()
-    segments = _segments(docs, wanted, k)
-    # Each document's closest candidates come first; most other pairs then lie within a component and need no count.
-    ends = rare.select(F.col("a").alias("v"), F.struct("apart", F.col("b").alias("w"), "a", "b", "na", "nb").alias("s"))
-    ends = ends.union(rare.select("b", F.struct("apart", F.col("a").alias("w"), "a", "b", "na", "nb")))
-    nearest = ends.groupBy("v").agg(F.min("s").alias("s")).select("s.a", "s.b", "s.na", "s.nb")
-    first = written(_overlaps(nearest.union(often).distinct(), segments, num, den), "links")
-    labels = components(first)
-    la, lb = labels.select(F.col("node").alias("a"), F.col("comp").alias("ca")), labels.select(F.col("node").alias("b"), F.col("comp").alias("cb"))
-    rest = rare.select("a", "b", "na", "nb").join(la, "a", "left").join(lb, "b", "left").where("coalesce(ca, a) <> coalesce(cb, b)").select("a", "b", "na", "nb")
-    rest = rest.union(sized(_common_pairs(classes, num, den, labels))).distinct()
-    second = written(_overlaps(rest, segments, num, den), "links")
-    if not second.isEmpty():
-        labels = components(first.union(second))
-    drop(segments, rare, often, classes)
-    node = sketches.select("key", "doc_id", "n_shingles", "rep").join(labels.withColumnRenamed("node", "rep"), "rep", "left")
-    return written(node.select("key", "doc_id", "n_shingles", F.coalesce("comp", "rep").alias("comp")), "nodes")
+        na, nb = (size.select(F.col("rep").alias(c), F.col("n").alias(f"n{c}")) for c in "ab")
+        return pairs.join(na, "a").join(nb, "b").select("a", "b", "na", "nb")
+
+    met = written(_met(classes, num, den), "met")
+    parents = met.where("parent is not null").select(F.least("rep", "parent").alias("a"), F.greatest("rep", "parent").alias("b")).distinct()
+    tried = _with_parity(parents, classes, num, den).union(sized(_common_pairs(classes, num, den, None)))
+    tried = written(tried.distinct(), "tried")
+    wanted = classes.join(met.select("rep").distinct(), "rep", "left_semi").select("key").union(classes.where(F.size("often") > 0).select("key")).distinct()
+    segments = _segments(docs, wanted, k, order)
+
+    def counted(pairs: DataFrame) -> DataFrame:
+        return _overlaps(pairs, segments, num, den)
+
+    links, labels, _ = _merged(tried, None, None, firsts, counted)
+    rest = _with_parity(_between(met, labels, num, den), classes, num, den).union(sized(_common_pairs(classes, num, den, labels)))
+    rest = written(rest.distinct(), "rest")
+    links, labels, live = _merged(rest, links, labels, firsts, counted)
+    last = written(counted(live.select("a", "b", "na", "nb")), "links")
+    if not last.isEmpty():
+        labels = _labels(links.union(last), firsts)
+    of_class = firsts.join(labels, "rep", "left").select("rep", F.coalesce("least", "first").alias("first"))
+    node = sketches.select("key", "doc_id", "n_shingles", "rep").join(of_class, "rep", "left")
+    out = written(node.select("key", "doc_id", "n_shingles", "first"), "nodes")
+    drop(sketches, firsts, classes, met, tried, rest, segments)
+    return out
 
 
 def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 100) -> DataFrame:
@@ -379,20 +497,19 @@ def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 10
     * An empty table gives an empty table.
     """
     node = _nodes(docs, k, num, den)
-    least = node.where("comp is not null").groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    out = node.join(least, "comp", "left")
-    return out.select("doc_id", "n_shingles", F.when(F.col("comp").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    return node.select("doc_id", "n_shingles", F.when(F.col("first").isNull(), F.col("doc_id")).otherwise(F.col("first.doc_id")).alias("component_id"))
 
 
 def deduplicated(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """The rows of ``docs``, all columns, less all but one of each component (the one of smallest doc_id, nulls last).
 
-    Rows without n-grams are linked with nothing and all stay.
+    Rows without n-grams are linked with nothing and all stay.  Columns of any name
+    pass through as they are.
     """
-    node = _nodes(docs, k, num, den).where("comp is not null")
-    first = node.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("first"))
-    lost = node.join(first, "comp").where("key <> first.key").select(F.col("key").alias("__key")).distinct()
-    twice = node.groupBy("key").count().where("count > 1").select(F.col("key").alias("__key"), F.lit(True).alias("__twice"))
-    kept = docs.withColumn("__key", _key()).join(lost, "__key", "left_anti").join(twice, "__key", "left")
-    one = kept.where("__twice").dropDuplicates(["__key"])
-    return kept.where("__twice is null").unionByName(one).select(*docs.columns)
+    node = _nodes(docs, k, num, den).where("first is not null")
+    key, twin = (free_name(docs, c) for c in ("key", "twin"))
+    lost = node.where("key <> first.key").select(F.col("key").alias(key)).distinct()
+    twice = node.groupBy("key").count().where("count > 1").select(F.col("key").alias(key), F.lit(True).alias(twin))
+    kept = docs.withColumn(key, _key()).join(lost, key, "left_anti").join(twice, key, "left")
+    one = kept.where(F.col(twin)).dropDuplicates([key])
+    return kept.where(F.col(twin).isNull()).unionByName(one).select(*(F.col(f"`{c}`") for c in docs.columns))
