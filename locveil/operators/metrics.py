@@ -91,12 +91,18 @@ def geoind_audit(kernel: DataFrame, zones: DataFrame, stats: DataFrame, dist: Da
 
 
 def geoind_all_pairs(kernel: DataFrame, dist: DataFrame, eps_g: float) -> DataFrame:
-    """Log ratios of all pairs of a domain against eps_g d, for the linear programmes: ``domain_id, worst_slack, ok``."""
-    rows = kernel.where("k > 1e-12").select("domain_id", "j", "i", F.ln("k").alias("l"))
-    other = rows.select("domain_id", "j", F.col("i").alias("i2"), F.col("l").alias("l2"))
+    """Log ratios of all pairs of a domain against eps_g d, for the linear programmes: ``domain_id, worst_slack, unbounded, ok``.
+
+    Every entry counts; unbounded is the number of reports that one cell of a pair can
+    give and the other cannot.
+    """
+    rows = kernel.select("domain_id", "j", "i", "k")
+    other = rows.select("domain_id", "j", F.col("i").alias("i2"), F.col("k").alias("k2"))
     far = dist.select("domain_id", "i", F.col("j").alias("i2"), "d")
-    both = rows.join(other, ["domain_id", "j"]).where("i <> i2").join(far, ["domain_id", "i", "i2"])
-    return both.groupBy("domain_id").agg(F.max(F.col("l") - F.col("l2") - F.lit(eps_g) * F.col("d")).alias("worst_slack")).withColumn("ok", F.col("worst_slack") <= 1e-4)
+    both = rows.where("k > 0").join(other, ["domain_id", "j"]).where("i <> i2").join(far, ["domain_id", "i", "i2"])
+    slack = F.when(F.col("k2") > 0, F.ln("k") - F.ln("k2") - F.lit(eps_g) * F.col("d"))
+    out = both.groupBy("domain_id").agg(F.max(slack).alias("worst_slack"), F.count_if(F.col("k2") <= 0).alias("unbounded"))
+    return out.withColumn("ok", (F.col("worst_slack") <= 1e-4) & (F.col("unbounded") == 0))
 
 
 def weak_dp_audit(kernel: DataFrame, zones: DataFrame, stats: DataFrame, dist: DataFrame) -> DataFrame:

@@ -78,7 +78,7 @@ def table3(spark: SparkSession, sf_dir: str, eps: float = 1.0, e_min: float = 0.
     got = schemes.run(both(spark, sf_dir, eps), SKEW, [(eps, e_min)])
     p_s = got.where("measure = 'success'").select(F.concat_ws("|", "domain_id", "scheme").alias("domain_id"), F.col("value").alias("p_s"))
     over = metrics.success_over(p_s).select(F.split("domain_id", r"\|")[0].alias("domain_id"), F.split("domain_id", r"\|")[1].alias("scheme"), F.concat(F.lit("over_"), F.format_number(F.col("threshold") * 100, 0)).alias("measure"), F.col("share").alias("value"))
-    rest = got.where("measure in ('q_loss', 'exp_err', 'target', 'reach', 'eps_g')").select("domain_id", "scheme", "measure", "value")
+    rest = got.where("measure in ('q_loss', 'exp_err', 'target', 'reach', 'eps_g', 'gap', 'residual', 'unsolved', 'infeasible')").select("domain_id", "scheme", "measure", "value")
     return over.unionByName(rest).groupBy("domain_id", "measure").pivot("scheme", SKEW).agg(F.round(F.first("value"), 4))
 
 
@@ -115,7 +115,7 @@ def joint_loss(spark: SparkSession, sf_dir: str, params: list[tuple[float, float
     """Quasi-k-means zoning against the joint programme at equal expected inference error."""
     cells = both(spark, sf_dir)
     out = [schemes.run(cells.where(F.col("domain_id") == name), ["zonal_qkm", "joint_lp_qkm"], params or joint_grid(name), max_samp) for name in ("dense", "sparse")]
-    return scalars(out[0].unionByName(out[1]), "exp_err", "q_loss", "target", "eps_g", "infeasible")
+    return scalars(out[0].unionByName(out[1]), "exp_err", "q_loss", "target", "eps_g", "gap", "residual", "unsolved", "infeasible")
 
 
 def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = E_MINS, max_samp: int = 20, seed: int = 11) -> DataFrame:
@@ -142,7 +142,9 @@ def _wtd_kernels(cells: DataFrame, params: DataFrame, max_samp: int, delta: floa
         if zone is not None:
             made["zonal_qkm"] = core.kernel(core.zonal_scale(zone, dom.eps, d), d)
             target = lp.exp_err(made["zonal_qkm"], p, d)
-            made["joint_lp"] = lp.tuned(p, d, target, delta, target)[0].kernel
+            got, _ = lp.tuned(p, d, target, delta, target)
+            if got.status == "solved":  # else its distance stays null
+                made["joint_lp"] = got.kernel
             made["none"] = np.eye(n)
         rows = [(pdf["domain_id"].iloc[0], e, m, name, int(i), int(j), float(k[a, b])) for name, k in made.items() for a, i in enumerate(ids) for b, j in enumerate(ids)]
         return pd.DataFrame(rows, columns=["domain_id", "eps_param", "e_min", "scheme", "i", "j", "k"])

@@ -11,7 +11,7 @@ from ..functions import hilbert, portable_uniform
 from ..operators import attack, condition, crowd, domains, exponential, geometry, metrics, sample, zoning
 from ..sources import read
 from ..streaming import pings as live
-from . import experiments
+from . import curve_sql, experiments
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -295,24 +295,31 @@ def _zone_report(zones: DataFrame) -> DataFrame:
     return zones.select("domain_id", "eps_param", "e_min", F.col("rot").cast("long").alias("rot"), "cell_id", "zone_id", F.round("avg_reach", 6).alias("avg_reach"))
 
 
-@query()
+_FOUR = "select unnest([0,1,2,3]) rot"
+
+
+def _curve_query_sql(domain: str, params: list, rots: str = "select 0 rot", made: str = "", last: str = "zn") -> str:
+    return rank_sql(domain, rots) + ", " + ", ".join(x for x in (curve_sql.runs(params), made or curve_sql.walk(), curve_sql.zones(), last) if x != "zn") + curve_sql.report(domain, "zn" if last == "zn" else "bz")
+
+
+@query(_curve_query_sql("dense", _GRID))
 def zones_curve_dense(spark, sf_dir):
     return _zone_report(zoning.zone_curve(_cells(spark, sf_dir), _GRID, order=ORDERS["dense"]))
 
 
-@query()
+@query(_curve_query_sql("sparse", _GRID))
 def zones_curve_sparse(spark, sf_dir):
     return _zone_report(zoning.zone_curve(_cells(spark, sf_dir, "sparse"), _GRID, order=ORDERS["sparse"]))
 
 
-@query()
+@query(_curve_query_sql("sparse", _GRID, _FOUR, last=curve_sql.best()))
 def zones_curve_best(spark, sf_dir):
-    return _zone_report(zoning.zone_best_curve(_cells(spark, sf_dir, "sparse"), _GRID))
+    return _zone_report(zoning.zone_best_curve(_cells(spark, sf_dir, "sparse"), _GRID, ORDERS["sparse"]))
 
 
-@query()
+@query(_curve_query_sql("dense", [(-1.0, 0.2)]).replace("1.0::double eps from raw", f"0.5::double+1.0::double*{_uniform_sql('cell_id', 11)} eps from raw"))
 def zones_curve_personal(spark, sf_dir):
-    return _zone_report(zoning.zone_curve(domains.eps_uniform(_cells(spark, sf_dir)), [(None, 0.2)]))
+    return _zone_report(zoning.zone_curve(domains.eps_uniform(_cells(spark, sf_dir)), [(None, 0.2)], order=ORDERS["dense"]))
 
 
 @query()
@@ -375,9 +382,9 @@ def zones_validate_tiles(spark, sf_dir):
     return zoning.validate(zones, cells, condition.zone_stats(zones, cells, geometry.pairs(cells)), 0.2)
 
 
-def _adaptive_sql(err: str) -> str:
+def _adaptive_sql(err: str, last: str = " select cell_id, a, b, round(reach,6) reach from cv where rn=1") -> str:
     return rank_sql("sparse") + _SEG + f""", sg as (select a, b, max(far) reach, min(err) a_out, min(case when g between a and b then err end) a_in from sc where b-a<10 group by all),
- cv as (select cell_id, a, b, reach, row_number() over (partition by cell_id order by round(reach,12), a, b) rn from r join sg on r.rank between a and b where {err}>=exp(1.0::double)*0.1-1e-12) select cell_id, a, b, round(reach,6) reach from cv where rn=1"""
+ cv as (select cell_id, a, b, reach, row_number() over (partition by cell_id order by round(reach,12), a, b) rn from r join sg on r.rank between a and b where {err}>=exp(1.0::double)*0.1-1e-12)""" + last
 
 
 def _adaptive(spark, sf_dir, kind):
@@ -395,12 +402,12 @@ def zones_adaptive_outer(spark, sf_dir):
     return _r(_adaptive(spark, sf_dir, "a_out"), "cell_id", "a", "b", reach="reach")
 
 
-@query()
+@query(_adaptive_sql("a_in", ", o as (select distinct a, b, reach from cv where rn=1) select x.a, x.b, y.a a2, y.b b2, least(x.b,y.b)-greatest(x.a,y.a)+1 shared, abs(x.reach-y.reach)>1e-12 reach_differs from o x join o y on (x.a<y.a or (x.a=y.a and x.b<y.b)) and y.a<=x.b and x.a<=y.b"))
 def zones_overlap_adaptive(spark, sf_dir):
     return zoning.overlaps(_adaptive(spark, sf_dir, "a_in")).select("a", "b", "a2", "b2", "shared", "reach_differs")
 
 
-@query()
+@query(_adaptive_sql("a_out", " select cell_id, a, b, round(max(reach) over (),6) reach from cv where rn=1"))
 def zones_common_reach(spark, sf_dir):
     return _r(zoning.common_reach(_adaptive(spark, sf_dir, "a_out")), "cell_id", "a", "b", reach="reach")
 
@@ -410,9 +417,9 @@ def zones_bruteforce_toy6(spark, sf_dir):
     return zoning.best_partition(domains.toy6(spark), [(0.5, 0.1), (1.0, 0.5)]).select("e_min", "cell_id", "zone_id", F.round("avg_reach", 6).alias("avg_reach"))
 
 
-@query()
+@query(_curve_query_sql("sparse", _GRID, made=curve_sql.optimum()))
 def zones_contiguous_optimum(spark, sf_dir):
-    return _zone_report(zoning.zone_curve(_cells(spark, sf_dir, "sparse"), _GRID, exact=True))
+    return _zone_report(zoning.zone_curve(_cells(spark, sf_dir, "sparse"), _GRID, exact=True, order=ORDERS["sparse"]))
 
 
 @query("select eps, lam, round(1+lam-least(eps,1.0)/greatest(eps,1.0),6) weight from (select (5+unnest(range(16)))/10.0::double eps), (select unnest([0.0::double,0.5::double,1.0::double]) lam)")
@@ -449,7 +456,7 @@ def kernel_constant_maxreach(spark, sf_dir):
     return _r(exponential.constant_kernel(p.dist, exponential.largest_reach(p.stats), EPS), "i", "j", k="k")
 
 
-@query()
+@query(_adaptive_sql("a_in", f", {_PAIRS}, kw as (select d.i, d.j, exp(-d.d/(2*reach)) w from d join cv on cv.cell_id=d.i where rn=1) select i, j, round(w/(sum(w) over (partition by i)),6) k from kw"))
 def kernel_adaptive(spark, sf_dir):
     cells = _cells(spark, sf_dir, "sparse")
     return _r(exponential.adaptive_kernel(_adaptive(spark, sf_dir, "a_in"), geometry.pairs(cells)), "i", "j", k="k")
@@ -636,7 +643,11 @@ def sample_reports(spark, sf_dir):
     return sample.draw(at, exponential.packed(p.kernel), 42, 2500).select("event_id", "cell_id", "reported_cell")
 
 
-@query()
+_GUMBEL = f"""sk as (select z.cell_id, eps_zone/(2*reach) scale from z join st using (zone_id)), pv as (select event_id, c.cell_id, c.x, c.y, scale from pg join c on c.cx=pg.cx and c.cy=pg.cy join sk on sk.cell_id=c.cell_id),
+ gv as (select event_id, pv.cell_id, o.cell_id out_id, -scale*sqrt(pow(o.x-pv.x,2)+pow(o.y-pv.y,2))-ln(-ln(greatest({_uniform_sql("(event_id||'/'||o.cell_id)", 42)},1e-300))) v from pv, c o) select event_id, cell_id, arg_max(out_id, v) reported_cell from gv group by all"""
+
+
+@query(chain("sparse", _PAIRS, _ZONES, _STATS, _PINGS, _GUMBEL.rsplit(" select ", 1)[0]) + " select " + _GUMBEL.rsplit(" select ", 1)[1])
 def sample_gumbel(spark, sf_dir):
     p = _Plain(spark, sf_dir, "sparse")
     return sample.draw_gumbel(_inside(spark, sf_dir)[1], p.cells, p.zones, p.stats, 42).select("event_id", "cell_id", "reported_cell")
@@ -830,7 +841,10 @@ def tiles_zonal(spark, sf_dir):
     return experiments.tiles_zonal(spark, sf_dir)
 
 
-@query()
+_PER_CELL = """ae as (select k.i, sum(k*d.d) avg_err from k join o using (j) join d on d.i=k.i and d.j=guess_opt group by all), su as (select k.i, sum(case when guess_map=k.i then k else 0 end) p_s from k join bm using (j) group by all), lo as (select k.i, sum(k*d.d) loss from k join d on d.i=k.i and d.j=k.j group by all)"""
+
+
+@query(_curve_query_sql("sparse", [(1.0, 0.1)], _FOUR, last=curve_sql.best()).rsplit(" select '", 1)[0] + ", z as (select 'sparse' domain_id, cell_id, zone_id from bz where cell_id is not null), " + ", ".join([_PAIRS, _STATS, _KERNEL, _JOINT, _OPT, _MAP, _PER_CELL]) + " select 'sparse' domain_id, z.cell_id, z.zone_id, round(reach,6) reach, round(avg_err,6) avg_err, round(p_s,6) p_s, round(loss,6) loss from z join st on st.zone_id=z.zone_id join ae on ae.i=z.cell_id join su on su.i=z.cell_id join lo on lo.i=z.cell_id")
 def flagship(spark, sf_dir):
     return experiments.flagship(spark, sf_dir)
 

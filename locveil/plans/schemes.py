@@ -161,7 +161,11 @@ def evaluate(dom: Domain, name: str, eps_param: float, e_min: float, max_samp: i
             if geo_eps is not None:
                 got, used = lp.solve(dom.p, dom.d, geo_eps, delta, d_min), geo_eps
             else:
-                got, used = lp.tuned(dom.p, dom.d, target, delta, d_min, tol=tol)
+                if ("eps_g", s.base) not in cache:  # the same for both programmes
+                    cache["eps_g", s.base] = lp.least_eps_g(dom.p, dom.d, target, delta, tol)
+                got, used = lp.tuned(dom.p, dom.d, target, delta, d_min, tol, cache["eps_g", s.base])
+            if got.status != "solved":
+                return {got.status: 1.0, "target": target}
             k, extra = got.kernel, {"eps_g": used, "gap": got.gap, "residual": got.residual}
         extra["target"] = target
     return core.measures(k, dom.p, dom.d) | extra
