@@ -36,8 +36,8 @@ EDGE = VOCAB  # the id beyond either end of a text, in the smallest network
 SIDES = (-2, -1, 1, 2)
 DIM = 32
 ROUNDS = 2
-BATCH = 1024
-RATE = 0.15
+BATCH = 4096
+RATE = 0.35
 #: The count an unseen word stands for; there are as many of them in a bucket as seen ones.
 UNSEEN = 0.5
 
@@ -239,6 +239,21 @@ class _Descent:
 
 
 _FIXED = float(1 << 24)
+#: Weights travel in so many blocks; blocks of up to a LANES-th of all tasks are added at a time.
+BLOCKS, LANES = 64, 256
+#: Whole numbers in two parts, so that sums over any number of tasks are exact, in whatever order.
+_LOW = 24
+_BLOCK_ROW = "block int, n long, high array<long>, low array<long>"
+
+
+def _block(block: int, n: int, high: np.ndarray, low: np.ndarray) -> pa.RecordBatch:
+    longs = pa.list_(pa.int64())
+    return pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([n], pa.int64()), pa.array([high], longs), pa.array([low], longs)], ["block", "n", "high", "low"])
+
+
+def _summed(rows: pa.Table) -> pa.Table:
+    parts = [np.sum(np.stack([x.values.to_numpy() for x in rows.column(c)]), axis=0) for c in ("high", "low")]
+    return pa.Table.from_batches([_block(rows.column("block")[0].as_py(), sum(rows.column("n").to_pylist()), *parts)])
 
 
 def _targets(rows: np.ndarray, turn: int) -> np.ndarray:
@@ -276,15 +291,16 @@ def train(docs: DataFrame) -> Params:
                     n += len(at)
             if n:
                 moved = np.round((run.flat - params.flat).astype(np.float64) * _FIXED).astype(np.int64) * n
-                for block, part in enumerate(np.array_split(moved, 64)):
-                    yield pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([n], pa.int64()), pa.array([part], pa.list_(pa.int64()))], ["block", "n", "part"])
+                for block, part in enumerate(np.array_split(moved, BLOCKS)):
+                    yield _block(block, n, part >> _LOW, part & ((1 << _LOW) - 1))
 
-        parts = docs.select("text").mapInArrow(descended, "block int, n long, part array<long>")
-        cells = parts.select("block", "n", F.posexplode("part").alias("cell", "v")).where("v <> 0").groupBy("block", "cell").agg((F.sum(F.col("v").cast("decimal(38,0)")) / F.sum("n")).cast("double").alias("v")).toPandas()
-        first = np.array([0, *np.cumsum([len(x) for x in np.array_split(np.arange(n_weights), 64)])[:-1]])
-        at = first[cells["block"].to_numpy(np.int64)] + cells["cell"].to_numpy(np.int64)
+        parts = docs.select("text").mapInArrow(descended, _BLOCK_ROW).withColumn("lane", F.spark_partition_id() % LANES)
+        parts = parts.groupBy("block", "lane").applyInArrow(_summed, _BLOCK_ROW).groupBy("block").applyInArrow(_summed, _BLOCK_ROW)
+        first = np.array([0, *np.cumsum([len(x) for x in np.array_split(np.arange(n_weights), BLOCKS)])])
         flat = flat.copy()
-        flat[at] += (cells["v"].to_numpy(np.float64) / _FIXED).astype(np.float32)
+        for r in parts.collect():
+            total = np.array(r.high, np.float64) * (1 << _LOW) + np.array(r.low, np.float64)
+            flat[first[r.block] : first[r.block + 1]] += (total / r.n / _FIXED).astype(np.float32)
     return Params(hashes, ids, flat, spread, counts)
 
 
