@@ -1,9 +1,11 @@
 """Main text of web pages by a tree-structured graphical model.
 
 Each block element of a page is a node with a hidden state, article or not.  Node
-potentials are log-linear in features of the element; edge potentials tie a child
-to its parent by the child's kind.  Sum-product messages go up the tree and down
-again and give exact marginals.  The weights are trained on labelled pages, made by
+potentials are log-linear in features of the element and of the nearest element
+around it that tells its use; edge potentials tie a child to its parent by the
+child's kind and the magnitude of the number of siblings, as many children that each
+say a little must not outweigh what the parent says itself.  Sum-product messages go
+up the tree and down again and give exact marginals.  The weights are trained on labelled pages, made by
 a generator that draws layouts at random and knows what it put where.
 """
 
@@ -21,9 +23,10 @@ from pyspark.sql import functions as F
 
 # Element kinds of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style title textarea noscript template iframe object svg math select button option xmp".split())
+RAW = frozenset("script style title textarea template iframe select button option".split())
 HEAD = frozenset("html head base link meta script style title noscript template".split())
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var br img wbr".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var br img wbr math svg object noscript".split())
+MATH = frozenset("mi mn mo ms mtext mrow mfrac msqrt mroot msup msub msubsup mover munder munderover mmultiscripts mstyle mpadded mphantom mspace menclose mtable mtr mtd semantics annotation annotation-xml g text tspan textpath".split())
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 KINDS = ("html", "body", "div", "section", "article", "main", "p", "h1", "h2", "h3", "h4", "h5", "h6", "ul", "ol", "li", "dl", "dt", "dd", "table", "tr", "td", "th", "blockquote", "pre", "figure", "figcaption", "nav", "header", "footer", "aside", "form", "menu", "address", "details", "dialog", "fieldset", "other")
 # Words of class, id and role, in groups that mean the same.
@@ -61,7 +64,6 @@ def parse(page: str) -> list[Node]:
     nodes = [Node("html", "", -1)]
     stack = [0]
     order = links = at = 0
-    low = None
     head = False  # inside the head; text or an element that cannot be there ends it
 
     def text(chunk: str) -> None:
@@ -86,9 +88,7 @@ def parse(page: str) -> list[Node]:
         if not m[1]:
             head = head and tag in HEAD
             if tag in RAW and not m[3].rstrip().endswith("/"):
-                low = page.lower() if low is None else low
-                end = low.find(f"</{tag}", at)
-                end = len(page) if end < 0 else end
+                end = _end_of(tag, page, at)
                 close = page.find(">", end)
                 at = len(page) if close < 0 else close + 1
                 continue
@@ -96,7 +96,12 @@ def parse(page: str) -> list[Node]:
                 text(" ")
             if tag == "a":
                 links += 1
-            if tag in INLINE or tag in VOID:
+            if tag == "xmp":  # its markup is text
+                end = _end_of(tag, page, at)
+                nodes[stack[-1]].items.append((order, page[at:end].replace("&", "&amp;")))
+                at = end
+                continue
+            if tag in INLINE or tag in MATH or tag in VOID:
                 continue
             if tag in ("html", "head") or (tag == "body" and len(nodes) > 1 and nodes[stack[-1]].tag == "body"):
                 head = head or (tag == "head" and len(nodes) == 1)
@@ -120,7 +125,7 @@ def parse(page: str) -> list[Node]:
             head = head and tag not in ("head", "body", "html")
             if tag == "a":
                 links = max(0, links - 1)
-            if tag in INLINE or tag in VOID:
+            if tag in INLINE or tag in MATH or tag in VOID:
                 continue
             for depth in range(len(stack) - 1, 0, -1):
                 if nodes[stack[depth]].tag == tag:
@@ -131,6 +136,17 @@ def parse(page: str) -> list[Node]:
     return nodes
 
 
+@lru_cache(maxsize=64)
+def _end_tag(tag: str) -> re.Pattern:
+    return re.compile(f"</{tag}(?![a-z0-9])", re.I | re.A)
+
+
+def _end_of(tag: str, page: str, at: int) -> int:
+    """Where the element's end tag starts, in either case; the end of the page without one."""
+    m = _end_tag(tag).search(page, at)
+    return m.start() if m else len(page)
+
+
 def _close(nodes: list[Node], stack: list[int], tags: tuple[str, ...], stop: tuple[str, ...]) -> None:
     for depth in range(len(stack) - 1, 0, -1):
         tag = nodes[stack[depth]].tag
@@ -143,7 +159,14 @@ def _close(nodes: list[Node], stack: list[int], tags: tuple[str, ...], stop: tup
 
 _KIND = {k: i for i, k in enumerate(KINDS)}
 _SIZES = (1, 20, 60, 150, 400, 1200)
-N_FEATURES = len(KINDS) + len(HINTS) + len(_SIZES) + 1 + 6
+#: What an element is to its parent: its first hint, else its tag.
+N_USES = len(HINTS) + len(KINDS)
+#: Tags that tell the use of what they hold.
+TELLING = frozenset("nav header footer aside form menu dialog fieldset article main address details".split())
+N_FEATURES = len(KINDS) + len(HINTS) + len(_SIZES) + 1 + 6 + N_USES
+#: Magnitudes (powers of 4) of the number of siblings; no page has more.
+N_MANY = 24
+N_EDGES = N_USES * N_MANY
 
 
 @lru_cache(maxsize=65536)
@@ -170,7 +193,7 @@ def features(nodes: list[Node]) -> tuple[list[list[int]], list[int]]:
         if own.parent >= 0:
             size[own.parent] += size[i]
             linked[own.parent] += linked[i]
-    out, edge = [], []
+    out, edge, within = [], [], []
     base = len(KINDS) + len(HINTS)
     for i, node in enumerate(nodes):
         kind = _KIND.get(node.tag, len(KINDS) - 1)
@@ -190,20 +213,17 @@ def features(nodes: list[Node]) -> tuple[list[list[int]], list[int]]:
         if node.children:
             f.append(at + 4)
         f.append(at + 5)
+        use = hints[0] if hints else len(HINTS) + kind
+        around = within[node.parent] if node.parent >= 0 else -1  # the use of the nearest telling element around
+        if around >= 0:
+            f.append(at + 6 + around)
+        within.append(use if hints or node.tag in TELLING else around)
         out.append(f)
-        edge.append(hints[0] if hints else len(HINTS) + kind)
+        siblings = len(nodes[node.parent].children) if node.parent >= 0 else 1
+        edge.append(use * N_MANY + (siblings.bit_length() - 1) // 2)
     return out, edge
 
 
-#: Edge kinds: the child's first hint, else its tag.
-N_EDGES = len(HINTS) + len(KINDS)
-
-
-#: Beyond so many children each one's message to its parent counts in proportion less: the paragraphs of a
-#: very long page say much the same, and small errors of the weights would add up without bound.
-CHORUS = 16
-
-
 def marginals(nodes: list[Node], feats: list[list[int]], edge: list[int], w: np.ndarray, e: np.ndarray) -> tuple[list[float], list[tuple]]:
     """P(article) of each node, and of each edge the joint table (parent, child) as four numbers, by sum-product."""
     n = len(nodes)
@@ -217,8 +237,7 @@ def marginals(nodes: list[Node], feats: list[list[int]], edge: list[int], w: np.
         x0, x1 = t00 * b0 + t01 * b1, t10 * b0 + t11 * b1
         z = x0 + x1
         p = nodes[i].parent
-        share = CHORUS / max(CHORUS, len(nodes[p].children))
-        m0[i], m1[i] = (x0 / z) ** share, (x1 / z) ** share
+        m0[i], m1[i] = x0 / z, x1 / z
         up0[p] *= m0[i]
         up1[p] *= m1[i]
         z = up0[p] + up1[p]
