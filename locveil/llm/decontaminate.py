@@ -3,9 +3,11 @@
 A document's distinct shingles fall into bins by the top bits of their hash; its size
 class (a power of two) fixes how many bins there are, so that a bin holds half a
 shingle on average and a short item is not drowned in a long document.  The sketch
-is the least and the greatest hash of each bin.  An item is sketched once for each
-size class; a document and an item that share a sketch value are a candidate, and
-the exact share of the item's shingles in the document decides.  Items of few
+is the least and the greatest hash of each bin.  Bins of one size class lie within those of
+a smaller one, so that each shingle of an item is in its sketch from some size class
+on: one table with that class serves all.  A document and an item that share a
+sketch value are a candidate, and the exact share of the item's shingles in the
+document decides.  Items of few
 shingles are looked up among all shingles of the document instead, which is exact;
 an item of fewer than k words is one shingle and matches a document of just these
 words, as in the SQL.
@@ -65,47 +67,46 @@ def _items(benchmark: pd.DataFrame, k: int) -> Items:
     return Items(benchmark["item_id"].to_numpy(), values, np.concatenate([[0], np.cumsum(sizes)]))
 
 
+def _sketched_from(values: np.ndarray, ptr: np.ndarray) -> np.ndarray:
+    """The least bits for which each of the sorted values is the least or greatest of its bin in its row (0: always)."""
+    if not len(values):
+        return np.zeros(0, np.int64)
+    same = 64 - np.frexp((values[1:] ^ values[:-1]).astype(np.float64))[1]  # leading bits that neighbours share
+    # Rounding to a double may carry into the next power: then the bits shared are one more.
+    same += (values[1:] ^ values[:-1]) < (np.uint64(1) << (63 - np.minimum(same, 63)).astype(np.uint64))
+    apart = np.zeros(len(values) + 1, np.int64)
+    apart[1:-1] = same + 1
+    apart[ptr] = 0
+    return np.minimum(apart[:-1], apart[1:])
+
+
 class _Search:
-    """The items' sketches by size class, made when a document of the class comes up."""
-
-    def __init__(self, items: Items, k: int, num: int, den: int):
-        self.items, self.k, self.num, self.den, self.tables = items, k, num, den, {}
-        few = np.flatnonzero(np.repeat(np.diff(items.ptr) <= FEW, np.diff(items.ptr)))
-        few = few[np.argsort(items.values[few], kind="stable")]
-        self.few = items.values[few], np.searchsorted(items.ptr, few, "right") - 1
-
-    def table(self, bits: int):
-        if bits not in self.tables:
-            own = _sketch(self.items.values, self.items.ptr, np.full(len(self.items.ids), bits))
-            at = np.flatnonzero(own)
-            order = np.argsort(self.items.values[at], kind="stable")
-            at = at[order]
-            self.tables[bits] = self.items.values[at], np.searchsorted(self.items.ptr, at, "right") - 1
-        return self.tables[bits]
+    """The items' shingles in order, each with its item and the size class from which it is in the item's sketch."""
+
+    def __init__(self, items: Items, k: int, num: int, den: int, exact: bool):
+        self.items, self.k, self.num, self.den, self.exact = items, k, num, den, exact
+        self.order = np.argsort(items.values, kind="stable")
+        self.values = items.values[self.order]
+        self.owner = np.searchsorted(items.ptr, self.order, "right") - 1
+        size = np.diff(items.ptr)[self.owner]
+        self.bits = _sketched_from(items.values, items.ptr)[self.order]
+        self.few = size <= FEW
 
     def __call__(self, column: pa.Array):
         """(row, item position, shared shingles) of every contained item."""
         items = self.items
         for row, _, values, ptr in _shingle_sets(column, self.k):
-            bits = _class_bits(np.diff(ptr))
-            chosen = np.flatnonzero(_sketch(values, ptr, bits))
-            if not len(chosen) or not len(items.values):
+            if not len(values) or not len(self.values):
                 continue
-            small, small_of = self.few
-            owner = np.searchsorted(ptr, chosen, "right") - 1
+            bits = _class_bits(np.diff(ptr))
+            chosen = _sketch(values, ptr, bits)
+            lo, hi = np.searchsorted(self.values, values, "left"), np.searchsorted(self.values, values, "right")
             found = set()
-            if len(small):
-                lo, hi = np.searchsorted(small, values, "left"), np.searchsorted(small, values, "right")
-                for i in np.flatnonzero(hi > lo):
-                    r = int(np.searchsorted(ptr, i, "right")) - 1
-                    found.update((r, int(small_of[j])) for j in range(lo[i], hi[i]))
-            for b in np.unique(bits[owner]):
-                table, of = self.table(int(b))
-                mine = chosen[bits[owner] == b]
-                lo, hi = np.searchsorted(table, values[mine], "left"), np.searchsorted(table, values[mine], "right")
-                for i in np.flatnonzero(hi > lo):
-                    r = int(np.searchsorted(ptr, mine[i], "right")) - 1
-                    found.update((r, int(of[j])) for j in range(lo[i], hi[i]))
+            for i in np.flatnonzero(hi > lo):
+                r = int(np.searchsorted(ptr, i, "right")) - 1
+                own = slice(lo[i], hi[i])
+                meets = self.few[own] | (chosen[i] & (self.bits[own] <= bits[r])) | self.exact
+                found.update((r, int(j)) for j in self.owner[own][meets])
             for r, j in sorted(found):
                 own, item = values[ptr[r] : ptr[r + 1]], items.values[items.ptr[j] : items.ptr[j + 1]]
                 at = np.minimum(np.searchsorted(own, item), len(own) - 1)
@@ -125,20 +126,22 @@ def _blocks(benchmark: DataFrame, k: int):
         yield items
 
 
-def contained_items(docs: DataFrame, benchmark: DataFrame, k: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+def contained_items(docs: DataFrame, benchmark: DataFrame, k: int = 5, num: int = 80, den: int = 100, exact: bool = False) -> DataFrame:
     """Benchmark items inside documents: ``doc_id, item_id, item_shingles, shared, containment``.
 
     One row for each document row and item with ``den * shared >= num * item_shingles``.
     Null, empty or wordless texts on either side match nothing; an item of fewer
     than k words matches a document of just these words.  Letters A-Z count as
     a-z.  Repeated rows are searched each; empty tables give an empty result.
+    ``exact`` takes every shared shingle as a candidate instead of those in both
+    sketches.
     """
     out = None
     for items in _blocks(benchmark.where("item_id is not null"), k):
         sent = docs.sparkSession.sparkContext.broadcast(items)
 
         def found(batches, sent=sent):
-            search = _Search(sent.value, k, num, den)
+            search = _Search(sent.value, k, num, den, exact)
             for batch in batches:
                 got = list(search(batch.column(1)))
                 if got:
@@ -151,15 +154,15 @@ def contained_items(docs: DataFrame, benchmark: DataFrame, k: int = 5, num: int
     return out
 
 
-def decontaminated(docs: DataFrame, benchmark: DataFrame, k: int = 5, num: int = 80, den: int = 100) -> DataFrame:
-    """The rows of ``docs``, all columns, that contain no benchmark item."""
+def decontaminated(docs: DataFrame, benchmark: DataFrame, k: int = 5, num: int = 80, den: int = 100, exact: bool = False) -> DataFrame:
+    """The rows of ``docs``, all columns, that contain no benchmark item (``exact`` as above)."""
     out = docs
     at = docs.columns.index("text")
     for items in _blocks(benchmark, k):
         sent = docs.sparkSession.sparkContext.broadcast(items)
 
         def clean(batches, sent=sent):
-            search = _Search(sent.value, k, num, den)
+            search = _Search(sent.value, k, num, den, exact)
             for batch in batches:
                 keep = np.ones(batch.num_rows, bool)
                 keep[[r for r, *_ in search(batch.column(at))]] = False
