@@ -63,19 +63,26 @@ def candidates(keys: np.ndarray, asked: np.ndarray, depth: float) -> list[np.nda
     return out
 
 
+def _scaled(v: np.ndarray) -> np.ndarray:
+    """Each row by a power of two, which is exact, so that squares neither vanish nor overflow."""
+    _, power = np.frexp(np.abs(v).max(1))
+    half = -power // 2  # in two steps, as 2^-power itself may overflow
+    return np.ldexp(np.ldexp(v, half[:, None]), (-power - half)[:, None])
+
+
 def _search(queries: pd.DataFrame, rows: pd.DataFrame, k: int, depth: float, seed: int) -> pd.DataFrame:
     if not len(queries) or not len(rows):
         return pd.DataFrame({"query_id": pd.Series(dtype="int64"), "vec_id": pd.Series(dtype="int64"), "score": pd.Series(dtype="float64")})
     q, x = np.stack(queries["v"].to_numpy()).astype(np.float64), np.stack(rows["v"].to_numpy()).astype(np.float64)
     ids, qids = rows["vec_id"].to_numpy(np.int64), queries["vec_id"].to_numpy(np.int64)
-    size = np.sqrt((x * x).sum(1))
-    qsize = np.sqrt((q * q).sum(1))
+    q, x = _scaled(q), _scaled(x)
+    size, qsize = np.sqrt((x * x).sum(1)), np.sqrt((q * q).sum(1))
     planes = _planes(x.shape[1], seed)
     found = candidates(_strings(x / size[:, None], planes), _strings(q / qsize[:, None], planes), depth)
     made = []
     for i, at in enumerate(found):
         at = at[ids[at] != qids[i]]
-        score = (x[at] @ q[i]) / (size[at] * qsize[i])
+        score = (x[at] * q[i]).sum(1) / (size[at] * qsize[i])  # each row by itself: equal vectors score alike wherever they are
         best = np.lexsort((ids[at], -score))
         _, first = np.unique(ids[at][best], return_index=True)
         best = best[np.sort(first)[:k]]
