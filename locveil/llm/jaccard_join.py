@@ -279,7 +279,7 @@ def _common_pairs(classes: DataFrame, num: int, den: int, labels: DataFrame | No
         out = _close_pairs(pdf["rep"].to_numpy(), pdf["n"].to_numpy(), list(pdf["parity"]), pdf["comp"].to_numpy(), pdf["block"].to_numpy(), pdf["before"].to_numpy(), num, den, forest)
         return pd.DataFrame({"a": out[:, 0], "b": out[:, 1]})
 
-    return rows.select("gram", "x", "y", "block", "rep", "n", "parity", "comp", "before").groupBy("gram", "x", "y").applyInPandas(met, "a long, b long").distinct()
+    return rows.select("gram", "x", "y", "block", "rep", "n", "parity", "comp", "before").repartition("gram", "x", "y").groupBy("gram", "x", "y").applyInPandas(met, "a long, b long").distinct()
 
 
 def _close_pairs(rep, n, parity, comp, block, before, num, den, forest: bool) -> np.ndarray:
@@ -389,7 +389,9 @@ def _overlaps(pairs: DataFrame, segments: DataFrame, num: int, den: int) -> Data
     """Verify pairs: partial overlaps by fragment, summed per pair, against the exact threshold."""
     left = segments.select(F.col("rep").alias("a"), "frag", F.col("grams").alias("ga"))
     right = segments.select(F.col("rep").alias("b"), "frag", F.col("grams").alias("gb"))
-    both = pairs.join(left, "a").join(right, ["b", "frag"]).select("a", "b", "na", "nb", "frag", F.size(F.array_intersect("ga", "gb")).alias("part"))
+    # Each fragment is a join of its own: a document with many partners is spread over them.
+    each = pairs.withColumn("frag", F.explode(F.array(*(F.lit(f) for f in range(FRAGMENTS)))))
+    both = each.join(left, ["a", "frag"]).join(right, ["b", "frag"]).select("a", "b", "na", "nb", "frag", F.size(F.array_intersect("ga", "gb")).alias("part"))
     partial = both.groupBy("a", "b", "na", "nb", "frag").agg(F.max("part").alias("part"))  # max: a repeated row gives its segments twice
     summed = partial.groupBy("a", "b", "na", "nb").agg(F.sum("part").alias("shared"))
     return summed.where(f"{den} * shared >= {num} * (na + nb - shared)").select("a", "b")
@@ -421,24 +423,24 @@ def _labels(links: DataFrame, firsts: DataFrame) -> DataFrame:
     return made.select(F.col("node.rep").alias("rep"), F.col("comp.rep").alias("comp"), F.struct("comp.none", "comp.doc_id", "comp.key").alias("least"))
 
 
-def _merged(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, firsts: DataFrame, counted) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """All links so far, the components they make, and the pairs still uncounted between two of these.
+def _merged(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, firsts: DataFrame, counted) -> tuple[DataFrame, DataFrame]:
+    """All links so far and the components they make, once no pair is left uncounted between two of these.
 
-    Each round counts one pair of every component; the driver reads two counts.
+    Each round counts one pair of every component, while a good part of them link; then
+    come all pairs that are left.  The driver reads two counts a round.
     """
-    live = pairs if labels is None else _across(pairs, labels)
+    live, whole = (pairs if labels is None else _across(pairs, labels)), False
     while True:
-        picked = written(_least(live), "picked")
+        picked = written(live.select("a", "b", "na", "nb") if whole else _least(live), "picked")
         found = written(counted(picked), "links")
         n_picked, n_found = picked.count(), found.count()
         links = found if links is None else links.union(found)
         if labels is None or n_found:
             labels = _labels(links, firsts)
-        left = live.select("a", "b", "na", "nb").join(picked, ["a", "b"], "left_anti")
-        live = _across(left, labels)
-        if 2 * n_found <= n_picked:  # what is left rarely links, or nothing is
-            return links, labels, live
-        live = written(live, "live")
+        if whole or not n_picked:
+            return links, labels
+        whole = 4 * n_found <= n_picked
+        live = written(_across(live.select("a", "b", "na", "nb").join(picked, ["a", "b"], "left_anti"), labels), "live")
 
 
 def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
@@ -468,13 +470,10 @@ def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     def counted(pairs: DataFrame) -> DataFrame:
         return _overlaps(pairs, segments, num, den)
 
-    links, labels, _ = _merged(tried, None, None, firsts, counted)
+    links, labels = _merged(tried, None, None, firsts, counted)
     rest = _with_parity(_between(met, labels, num, den), classes, num, den).union(sized(_common_pairs(classes, num, den, labels)))
     rest = written(rest.distinct(), "rest")
-    links, labels, live = _merged(rest, links, labels, firsts, counted)
-    last = written(counted(live.select("a", "b", "na", "nb")), "links")
-    if not last.isEmpty():
-        labels = _labels(links.union(last), firsts)
+    links, labels = _merged(rest, links, labels, firsts, counted)
     of_class = firsts.join(labels, "rep", "left").select("rep", F.coalesce("least", "first").alias("first"))
     node = sketches.select("key", "doc_id", "n_shingles", "rep").join(of_class, "rep", "left")
     out = written(node.select("key", "doc_id", "n_shingles", "first"), "nodes")
