@@ -7,10 +7,10 @@ their prefixes in that order, which yields candidate pairs; the fragments of a p
 are joined and counted separately, and the partial overlaps are summed per pair.
 
 Buckets of a shared n-gram do not give all their pairs.  First every document meets
-one partner a bucket, the least that may still link, and of a component's partners
-again only the least is counted; links found so merge components, round by round
-while most pairs counted link.  What still lies between two components afterwards
-is counted in full, so that no link between different texts is lost.
+one partner a bucket, the least that may still link, and of these partners again
+only the least is counted; then those of them that lie between two of the components
+made so far; last, every pair of any bucket that still lies between two components,
+so that no link between different texts is lost.
 """
 
 from __future__ import annotations
@@ -398,18 +398,17 @@ def _overlaps(pairs: DataFrame, segments: DataFrame, num: int, den: int) -> Data
 
 
 def _least(pairs: DataFrame) -> DataFrame:
-    """Of each end's pairs the one with the least other end; ends are components where given (``ca, cb``)."""
-    ca, cb = ("ca", "cb") if "ca" in pairs.columns else ("a", "b")
-    ends = pairs.select(F.col(ca).alias("v"), F.struct(F.col(cb).alias("w"), "a", "b", "na", "nb").alias("s"))
-    ends = ends.union(pairs.select(F.col(cb), F.struct(F.col(ca).alias("w"), "a", "b", "na", "nb")))
+    """Of each end's pairs the one with the least other end."""
+    ends = pairs.select(F.col("a").alias("v"), F.struct(F.col("b").alias("w"), "a", "b", "na", "nb").alias("s"))
+    ends = ends.union(pairs.select("b", F.struct(F.col("a").alias("w"), "a", "b", "na", "nb")))
     return ends.groupBy("v").agg(F.min("s").alias("s")).select("s.a", "s.b", "s.na", "s.nb").distinct()
 
 
 def _across(pairs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Pairs of different components, with these as ``ca, cb``."""
+    """Pairs of different components."""
     la, lb = (labels.select(F.col("rep").alias(c), F.col("comp").alias(f"c{c}")) for c in "ab")
     both = pairs.join(la, "a", "left").join(lb, "b", "left").withColumns({"ca": F.coalesce("ca", "a"), "cb": F.coalesce("cb", "b")})
-    return both.where("ca <> cb").select("a", "b", "na", "nb", "ca", "cb")
+    return both.where("ca <> cb").select("a", "b", "na", "nb")
 
 
 def _labels(links: DataFrame, firsts: DataFrame) -> DataFrame:
@@ -423,26 +422,6 @@ def _labels(links: DataFrame, firsts: DataFrame) -> DataFrame:
     return made.select(F.col("node.rep").alias("rep"), F.col("comp.rep").alias("comp"), F.struct("comp.none", "comp.doc_id", "comp.key").alias("least"))
 
 
-def _merged(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, firsts: DataFrame, counted) -> tuple[DataFrame, DataFrame]:
-    """All links so far and the components they make, once no pair is left uncounted between two of these.
-
-    Each round counts one pair of every component, while a good part of them link; then
-    come all pairs that are left.  The driver reads two counts a round.
-    """
-    live, whole = (pairs if labels is None else _across(pairs, labels)), False
-    while True:
-        picked = written(live.select("a", "b", "na", "nb") if whole else _least(live), "picked")
-        found = written(counted(picked), "links")
-        n_picked, n_found = picked.count(), found.count()
-        links = found if links is None else links.union(found)
-        if labels is None or n_found:
-            labels = _labels(links, firsts)
-        if whole or not n_picked:
-            return links, labels
-        whole = 4 * n_found <= n_picked
-        live = written(_across(live.select("a", "b", "na", "nb").join(picked, ["a", "b"], "left_anti"), labels), "live")
-
-
 def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     """``key, doc_id, n_shingles, first`` of every row; first is the row ``(none, doc_id, key)`` of its component that stands for it.
 
@@ -470,14 +449,21 @@ def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     def counted(pairs: DataFrame) -> DataFrame:
         return _overlaps(pairs, segments, num, den)
 
-    links, labels = _merged(tried, None, None, firsts, counted)
+    # A pair of each document first; then all tried pairs between the components these make; then what lies between the rest.
+    picked = written(_least(tried), "picked")
+    links = written(counted(picked), "links")
+    labels = _labels(links, firsts)
+    left = _across(tried.join(picked, ["a", "b"], "left_anti"), labels)
+    links = links.union(written(counted(left), "links"))
+    labels = _labels(links, firsts)
     rest = _with_parity(_between(met, labels, num, den), classes, num, den).union(sized(_common_pairs(classes, num, den, labels)))
-    rest = written(rest.distinct(), "rest")
-    links, labels = _merged(rest, links, labels, firsts, counted)
+    last = written(counted(rest.distinct()), "links")
+    if not last.isEmpty():
+        labels = _labels(links.union(last), firsts)
     of_class = firsts.join(labels, "rep", "left").select("rep", F.coalesce("least", "first").alias("first"))
     node = sketches.select("key", "doc_id", "n_shingles", "rep").join(of_class, "rep", "left")
     out = written(node.select("key", "doc_id", "n_shingles", "first"), "nodes")
-    drop(sketches, firsts, classes, met, tried, rest, segments)
+    drop(sketches, firsts, classes, met, tried, picked, segments)
     return out
 
 
