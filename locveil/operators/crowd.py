@@ -18,17 +18,19 @@ def tasks(pings: DataFrame, n: int = 100) -> DataFrame:
 def workers_asof(task: DataFrame, pings: DataFrame, per_task: int = 30, seed: int = 5) -> DataFrame:
     """As-of join: each worker's last position at or before the task's time, ``per_task`` workers by hash.
 
-    ``domain_id, task_id, task_cell, worker_id, event_id, cell_id``.  Tasks are few (a
-    workload parameter) and broadcast.
+    ``domain_id, task_id, task_cell, worker_id, event_id, cell_id``.  Workers are picked
+    from their first positions, one row each; only the picked ones' pings meet the tasks.
     """
     seen = pings.where("event_type <> 'purchase'").select("domain_id", F.concat_ws("/", F.col("user_id").cast("string"), "event_type").alias("worker_id"), "event_id", F.col("ts").alias("at"), "cell_id")
     t = task.select("domain_id", "task_id", "task_cell", "ts")
-    both = seen.join(F.broadcast(t), "domain_id").where("at <= ts")
-    last = both.groupBy("domain_id", "task_id", "task_cell", "worker_id").agg(F.max(F.struct("at", "event_id", "cell_id")).alias("l"))
-    last = last.select("domain_id", "task_id", "task_cell", "worker_id", F.col("l.event_id").alias("event_id"), F.col("l.cell_id").alias("cell_id"))
+    since = seen.groupBy("domain_id", "worker_id").agg(F.min("at").alias("since"))
     luck = portable_uniform(F.concat_ws("-", F.col("task_id").cast("string"), "worker_id"), seed)
     w = W.partitionBy("domain_id", "task_id").orderBy("luck", "worker_id")
-    return last.withColumn("luck", luck).withColumn("rn", F.row_number().over(w)).where(F.col("rn") <= per_task).drop("luck", "rn")
+    able = since.join(t, "domain_id").where("since <= ts").withColumn("luck", luck)
+    picked = able.withColumn("rn", F.row_number().over(w)).where(F.col("rn") <= per_task).drop("luck", "rn", "since")
+    both = seen.join(picked, ["domain_id", "worker_id"]).where("at <= ts")
+    last = both.groupBy("domain_id", "task_id", "task_cell", "worker_id").agg(F.max(F.struct("at", "event_id", "cell_id")).alias("l"))
+    return last.select("domain_id", "task_id", "task_cell", "worker_id", F.col("l.event_id").alias("event_id"), F.col("l.cell_id").alias("cell_id"))
 
 
 def pings_near(task: DataFrame, pings: DataFrame, minutes: int = 10) -> DataFrame:

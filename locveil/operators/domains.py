@@ -92,7 +92,7 @@ def grid(spark: SparkSession, side: int) -> DataFrame:
 
 def _normalised(cells: DataFrame, raw: Column) -> DataFrame:
     """Prior proportional to ``raw``; missing, negative or non-finite mass counts as none."""
-    raw = F.when(raw.isNull() | F.isnan(raw) | (raw < 0), 0.0).otherwise(raw)
+    raw = F.when(raw.isNull() | F.isnan(raw) | (raw < 0) | (raw == float("inf")), 0.0).otherwise(raw)
     return cells.withColumn("raw", raw).withColumn("prior", F.col("raw") / F.sum("raw").over(W.partitionBy("domain_id"))).drop("raw")
 
 
@@ -107,16 +107,21 @@ def prior_uniform(cells: DataFrame, seed: int = 7) -> DataFrame:
     return _normalised(cells, 0.01 + 0.02 * portable_uniform("cell_id", seed))
 
 
+def place(pings: DataFrame) -> list[str]:
+    """What pings and cells meet on: the coordinates, and the domain where pings already have one."""
+    return [c for c in ("domain_id", "cx", "cy") if c in pings.columns]
+
+
 def prior_visits(cells: DataFrame, pings: DataFrame, smoothing: float = 1.0) -> DataFrame:
     """From history: visits of each cell plus ``smoothing``. The history is taken as public."""
-    seen = pings.groupBy("cx", "cy").agg(F.count("*").alias("visits"))
-    cells = cells.drop("prior").join(seen, ["cx", "cy"], "left")
+    seen = pings.groupBy(*place(pings)).agg(F.count("*").alias("visits"))
+    cells = cells.drop("prior").join(seen, place(pings), "left")
     return _normalised(cells, F.coalesce("visits", F.lit(0)) + F.lit(float(smoothing))).drop("visits")
 
 
 def prior_windowed(cells: DataFrame, pings: DataFrame, window: str = "1 day", slide: str | None = None) -> DataFrame:
     """``domain_id, window_start, cell_id, prior``: shares of visits in each window."""
-    inside = pings.join(F.broadcast(cells.select("domain_id", "cell_id", "cx", "cy")), ["cx", "cy"])
+    inside = pings.join(cells.select("domain_id", "cell_id", "cx", "cy"), place(pings))
     span = F.window("ts", window, slide) if slide else F.window("ts", window)
     seen = inside.groupBy("domain_id", span.alias("w"), "cell_id").agg(F.count("*").alias("visits"))
     share = F.col("visits") / F.sum("visits").over(W.partitionBy("domain_id", "w"))
@@ -136,8 +141,8 @@ def eps_levels(cells: DataFrame, pings: DataFrame, customers: DataFrame, levels:
     levels = levels or LEVELS
     table = F.create_map(*(x for seg, name in SEGMENT_LEVEL.items() for x in (F.lit(seg), F.lit(levels[name]))))
     users = customers.select(F.col("c_custkey").alias("user_id"), F.element_at(table, F.col("c_mktsegment")).alias("level_eps"))
-    seen = pings.select("user_id", "cx", "cy").join(users, "user_id").groupBy("cx", "cy").agg(F.min("level_eps").alias("level_eps"))
-    return cells.drop("eps").join(seen, ["cx", "cy"], "left").withColumn("eps", F.coalesce("level_eps", F.lit(default))).drop("level_eps")
+    seen = pings.select("user_id", *place(pings)).join(users, "user_id").groupBy(*place(pings)).agg(F.min("level_eps").alias("level_eps"))
+    return cells.drop("eps").join(seen, place(pings), "left").withColumn("eps", F.coalesce("level_eps", F.lit(default))).drop("level_eps")
 
 
 def eps_floor(cells: DataFrame) -> DataFrame:
@@ -146,8 +151,9 @@ def eps_floor(cells: DataFrame) -> DataFrame:
 
 
 def inside(pings: DataFrame, cells: DataFrame) -> DataFrame:
-    return pings.join(F.broadcast(cells.select("cx", "cy").distinct()), ["cx", "cy"], "left_semi")
+    """Pings on a cell; cells are broadcast where Spark finds them small enough."""
+    return pings.join(cells.select(*place(pings)), place(pings), "left_semi")
 
 
 def outside(pings: DataFrame, cells: DataFrame) -> DataFrame:
-    return pings.join(F.broadcast(cells.select("cx", "cy").distinct()), ["cx", "cy"], "left_anti")
+    return pings.join(cells.select(*place(pings)), place(pings), "left_anti")

@@ -65,11 +65,18 @@ def isolation(dist: DataFrame) -> DataFrame:
 
 
 def snap(pings: DataFrame, cells: DataFrame) -> DataFrame:
-    """Nearest cell of each ping outside the grid, ties to the lower cell_id; the cells of one domain are broadcast."""
-    near = pings.join(F.broadcast(cells.select("domain_id", "cell_id", "x", "y")))
+    """Nearest cell of each ping outside the grid, ties to the lower cell_id.
+
+    The search runs once for each place, not for each ping: distances are between the
+    distinct places and the cells (at most some dozens a domain), and pings join the result.
+    """
+    spot = ["domain_id", "cx", "cy"] if "domain_id" in pings.columns else ["cx", "cy"]
+    side = cells.select("domain_id", "cell_id", "x", "y")
+    at = pings.select(*spot).distinct()
+    near = at.join(side, "domain_id") if len(spot) == 3 else at.crossJoin(side)
     d = distance(F.col("cx") + 0.5, F.col("cy") + 0.5, F.col("x"), F.col("y"))
-    best = near.groupBy("domain_id", "event_id").agg(F.min(F.struct(d.alias("d"), "cell_id")).alias("b"))
-    return best.select("domain_id", "event_id", F.col("b.cell_id").alias("cell_id"), F.col("b.d").alias("d"))
+    best = near.groupBy("domain_id", "cx", "cy").agg(F.min(F.struct(d.alias("d"), "cell_id")).alias("b"))
+    return pings.join(best, spot).select("domain_id", "event_id", F.col("b.cell_id").alias("cell_id"), F.col("b.d").alias("d"))
 
 
 def is_convex_in(cells: DataFrame, zones: DataFrame) -> DataFrame:

@@ -118,6 +118,42 @@ def joint_loss(spark: SparkSession, sf_dir: str, params: list[tuple[float, float
     return scalars(out[0].unionByName(out[1]), "exp_err", "q_loss", "target", "eps_g", "gap", "residual", "unsolved", "infeasible")
 
 
+def lp_grid(spark: SparkSession, sf_dir: str, eps_gs: tuple = EPS_DENSE, delta: float = 0.05) -> DataFrame:
+    """Both programmes over a grid of eps_g, one task each: status, gap and residual, loss and error, and the spanner's worst stretch.
+
+    The joint programme asks for half of the largest error there is; ``eps_g`` 0 stands for the least that meets it.
+    """
+    table = spark.createDataFrame([(e, p) for e in (0.0, *eps_gs) for p in ("geo", "joint")], "eps_g double, programme string")
+    live = both(spark, sf_dir).select("domain_id", "cell_id", "x", "y", "prior").crossJoin(F.broadcast(table))
+
+    def one(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("cell_id").reset_index(drop=True)
+        p, d = pdf["prior"].to_numpy(), core.distances(pdf["x"].to_numpy(), pdf["y"].to_numpy())
+        e, name = float(pdf["eps_g"].iloc[0]), pdf["programme"].iloc[0]
+        target = 0.5 * float((d @ p).min())
+        used = e or lp.least_eps_g(p, d, target, delta)
+        got = lp.solve(p, d, used, delta, target if name == "joint" else None)
+        below = np.nan if e else lp.exp_err(lp.solve(p, d, 0.97 * used, delta).kernel, p, d)
+        path = np.full(d.shape, np.inf)
+        np.fill_diagonal(path, 0.0)
+        for a, b in lp.greedy_spanner(d, 1 + delta):
+            path[a, b] = path[b, a] = d[a, b]
+        for k in range(len(p)):
+            path = np.minimum(path, path[:, [k]] + path[[k], :])
+        off = d > 0
+        row = {"domain_id": pdf["domain_id"].iloc[0], "eps_g": e, "programme": name, "status": got.status, "gap": got.gap, "residual": got.residual, "loss": got.loss, "exp_err": lp.exp_err(got.kernel, p, d), "target": target, "below": below, "stretch": float((path[off] / d[off]).max())}
+        return pd.DataFrame([row])
+
+    schema = "domain_id string, eps_g double, programme string, status string, gap double, residual double, loss double, exp_err double, target double, below double, stretch double"
+    return live.repartition(64, "domain_id", "eps_g", "programme").groupBy("domain_id", "eps_g", "programme").applyInPandas(one, schema)
+
+
+def changes(measures: DataFrame, base: str, other: str, *names: str) -> DataFrame:
+    """Mean and largest relative change over the settings of a grid."""
+    got = metrics.relative(measures.where(F.col("measure").isin(*names)), base, other)
+    return got.select("domain_id", "measure", F.round("mean_change", 4).alias("mean_change"), F.round("max_change", 4).alias("max_change"), "settings")
+
+
 def personal_gain(spark: SparkSession, sf_dir: str, e_mins: tuple = E_MINS, max_samp: int = 20, seed: int = 11) -> DataFrame:
     """Two personal schemes against two with the least budget for all."""
     names = ["personal_curve", "unified_curve", "personal_qkm", "unified_qkm"]
@@ -164,7 +200,7 @@ def wtd_grid(spark: SparkSession, sf_dir: str, params: list[tuple[str, float, fl
     cells = both(spark, sf_dir).join(F.broadcast(table.select("domain_id").distinct()), "domain_id", "left_semi")
     kernels = materialise(_wtd_kernels(cells, table, max_samp), "wtd-kernels")
     events = domains.event_cells(read(spark, sf_dir, "events", "event_id", "ts", "user_id", "event_type", "value", "props"))
-    at = events.join(F.broadcast(cells.select("domain_id", "cell_id", "cx", "cy")), ["cx", "cy"]).drop("props", "value")
+    at = events.join(cells.select("domain_id", "cell_id", "cx", "cy"), ["cx", "cy"]).drop("props", "value")
     task = None
     for name in sorted({n for n, _, _ in params}):  # two domains; each has its own last tasks
         own = crowd.tasks(at.where(F.col("domain_id") == name), n_tasks)

@@ -499,6 +499,27 @@ def lp_joint_feasible(spark, sf_dir):
     return metrics.geoind_all_pairs(k, dist, 0.6).join(metrics.exp_err(k, cells, dist), "domain_id").select("domain_id", "ok", (F.col("exp_err") >= 3.0 - 1e-3).alias("bound_met"))
 
 
+_LP_GRID = "(select unnest(['dense','sparse']) domain_id), (select unnest([" + ",".join(f"{e}::double" for e in experiments.EPS_DENSE) + "]) eps_g), (select unnest(['geo','joint']) programme)"
+
+
+@query(f"select domain_id, eps_g, programme, 'solved' status, true gap_ok, true residual_ok, true error_ok from {_LP_GRID}")
+def lp_gap(spark, sf_dir):
+    got = experiments.lp_grid(spark, sf_dir).where("eps_g > 0")
+    error_ok = (F.col("programme") == "geo") | (F.col("exp_err") >= F.col("target") - 1e-4)
+    return got.select("domain_id", "eps_g", "programme", "status", (F.col("gap") <= 1e-3 * F.greatest("loss", F.lit(0.1))).alias("gap_ok"), (F.col("residual") < 1e-6).alias("residual_ok"), error_ok.alias("error_ok"))
+
+
+@query("select unnest(['dense','dense','sparse','sparse']) domain_id, unnest(['geo','joint','geo','joint']) programme, true meets, true least")
+def lp_tuned_least(spark, sf_dir):
+    got = experiments.lp_grid(spark, sf_dir, ())
+    return got.select("domain_id", "programme", (F.abs(F.col("exp_err") - F.col("target")) <= 0.0051).alias("meets"), (F.col("below") > F.col("target") + 0.005).alias("least"))
+
+
+@query("select unnest(['dense','sparse']) domain_id, true ok")
+def spanner_stretch(spark, sf_dir):
+    return experiments.lp_grid(spark, sf_dir, ()).where("programme = 'geo'").select("domain_id", (F.col("stretch") <= 1.05 + 1e-9).alias("ok"))
+
+
 # ---- adversary and measures ----------------------------------------------------------------------------------------
 
 _ALL = (_PAIRS, _ZONES, _STATS, _KERNEL, _JOINT)
@@ -624,12 +645,18 @@ def dp_audit_adaptive(spark, sf_dir):
     return experiments.audit_adaptive(spark, sf_dir).select("domain_id", "scheme", "breaks_budget")
 
 
+@query()
+def bound_audit_adaptive(spark, sf_dir):
+    """The predecessor's reports against the error bound, with the worst log ratio."""
+    return experiments.audit_adaptive(spark, sf_dir).select("domain_id", "scheme", "worst", "min_exper", "breaks_bound")
+
+
 # ---- sampling and crowdsourcing ------------------------------------------------------------------------------------
 
 
 def _inside(spark, sf_dir):
     cells = _cells(spark, sf_dir, "sparse")
-    return cells, _pings(spark, sf_dir).join(F.broadcast(cells.select("domain_id", "cell_id", "cx", "cy")), ["cx", "cy"]).select("domain_id", "event_id", "ts", "user_id", "event_type", "cell_id")
+    return cells, _pings(spark, sf_dir).join(cells.select("domain_id", "cell_id", "cx", "cy"), ["cx", "cy"]).select("domain_id", "event_id", "ts", "user_id", "event_type", "cell_id")
 
 
 _IN = _PINGS + ", ip as (select event_id, ts, user_id, event_type, cell_id from pg join c using (cx, cy))"
@@ -781,6 +808,16 @@ def exp_reach_grid(spark, sf_dir):
     return experiments.reach_grid(spark, sf_dir)
 
 
+@query()
+def exp_reach_change(spark, sf_dir):
+    return experiments.changes(experiments.reach_grid(spark, sf_dir), "zonal_curve", "zonal_qkm", "avg_reach")
+
+
+@query()
+def exp_joint_change(spark, sf_dir):
+    return experiments.changes(experiments.joint_loss(spark, sf_dir), "joint_lp_qkm", "zonal_qkm", "q_loss")
+
+
 @query()
 def exp_weight_ablation(spark, sf_dir):
     return experiments.weight_ablation(spark, sf_dir)

@@ -11,9 +11,8 @@ from pyspark.sql import functions as F
 
 from ..operators import core, geometry, lp
 
-#: Values of k without a better clustering before the experiments' search ends; 0 is the plain stop rule,
-#: which with few restarts ends early by chance.
-PATIENCE = 4
+#: Values of k without a better clustering before the experiments' search ends; 0 is the plain stop rule.
+PATIENCE = 0
 
 MEASURES = "domain_id string, scheme string, eps_param double, e_min double, measure string, cell_id long, value double"
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions import draw_from_cdf, portable_uniform, secret_uniform
+from ..operators.domains import place
 from ..sources.scratch import folder
 
 EVENTS = T.StructType([
@@ -42,9 +43,9 @@ def obfuscate(df: DataFrame, cells: DataFrame, rows: DataFrame, seed: int | str)
     replays don't change them.
     """
     near = cells.select("domain_id", "cell_id", "cx", "cy")
-    side = near.join(rows.withColumnRenamed("i", "cell_id"), ["domain_id", "cell_id"]).select("domain_id", "cx", "cy", "outs", "cdf")
+    side = near.join(rows.withColumnRenamed("i", "cell_id"), ["domain_id", "cell_id"]).select("domain_id", "cx", "cy", "outs", "cdf")  # pings that carry a domain_id meet its cells only
     u = portable_uniform("event_id", seed) if isinstance(seed, int) else secret_uniform("event_id", seed)
-    return df.join(side, ["cx", "cy"]).select("domain_id", "event_id", "ts", "user_id", draw_from_cdf("outs", "cdf", u).alias("reported_cell"))
+    return df.join(side, place(df)).select("domain_id", "event_id", "ts", "user_id", draw_from_cdf("outs", "cdf", u).alias("reported_cell"))
 
 
 def sticky(df: DataFrame, cells: DataFrame, rows: DataFrame, key: str, epoch: str = "1 day") -> DataFrame:
@@ -52,7 +53,7 @@ def sticky(df: DataFrame, cells: DataFrame, rows: DataFrame, key: str, epoch: st
     near = cells.select("domain_id", "cell_id", "cx", "cy").join(rows.withColumnRenamed("i", "cell_id"), ["domain_id", "cell_id"])
     when = F.window("ts", epoch)["start"]
     u = secret_uniform(F.concat_ws("|", F.col("user_id").cast("string"), F.col("cell_id").cast("string"), when.cast("string")), key)
-    return df.join(near, ["cx", "cy"]).select("domain_id", "event_id", "ts", "user_id", draw_from_cdf("outs", "cdf", u).alias("reported_cell"))
+    return df.join(near, place(df)).select("domain_id", "event_id", "ts", "user_id", draw_from_cdf("outs", "cdf", u).alias("reported_cell"))
 
 
 def reports_per_window(reports: DataFrame, window: str = "1 hour", slide: str | None = None) -> DataFrame:
