@@ -75,7 +75,7 @@ def skew(spark: SparkSession, sf_dir: str, measure: str, eps: float = 1.0, e_min
 
 def table3(spark: SparkSession, sf_dir: str, eps: float = 1.0, e_min: float = 0.05) -> DataFrame:
     """Shares of cells above each success threshold, the loss and the achieved error of four mechanisms, one column each."""
-    got = schemes.run(both(spark, sf_dir, eps), SKEW, [(eps, e_min)])
+    got = materialise(schemes.run(both(spark, sf_dir, eps), SKEW, [(eps, e_min)]), "table3")  # read twice
     p_s = got.where("measure = 'success'").select(F.concat_ws("|", "domain_id", "scheme").alias("domain_id"), F.col("value").alias("p_s"))
     over = metrics.success_over(p_s).select(F.split("domain_id", r"\|")[0].alias("domain_id"), F.split("domain_id", r"\|")[1].alias("scheme"), F.concat(F.lit("over_"), F.format_number(F.col("threshold") * 100, 0)).alias("measure"), F.col("share").alias("value"))
     rest = got.where("measure in ('q_loss', 'exp_err', 'target', 'reach', 'eps_g', 'gap', 'residual', 'unsolved', 'infeasible')").select("domain_id", "scheme", "measure", "value")
