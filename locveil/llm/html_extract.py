@@ -227,7 +227,8 @@ def features(nodes: list[Node]) -> tuple[list[list[int]], list[int]]:
 def marginals(nodes: list[Node], feats: list[list[int]], edge: list[int], w: np.ndarray, e: np.ndarray) -> tuple[list[float], list[tuple]]:
     """P(article) of each node, and of each edge the joint table (parent, child) as four numbers, by sum-product."""
     n = len(nodes)
-    weights, ties = w.tolist(), np.exp(e).tolist()
+    used = sorted(set(edge))
+    weights, ties = w.tolist(), dict(zip(used, np.exp(e[used]).tolist(), strict=True))
     unary = [2.718281828459045 ** max(-30.0, min(30.0, sum(weights[k] for k in f))) for f in feats]  # state 1 against 0
     up0, up1 = [1.0] * n, [1.0] * n  # product of messages from the children
     m0, m1 = [1.0] * n, [1.0] * n
