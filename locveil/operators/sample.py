@@ -40,13 +40,12 @@ def draw_gumbel(pings: DataFrame, cells: DataFrame, zones: DataFrame, stats: Dat
 
 
 def alias_rows(kernel: DataFrame) -> DataFrame:
-    """``domain_id, i, outs, keep, other``: alias tables for draws by two look-ups, built one kernel row at a time."""
+    """``domain_id, i, outs, keep, other``: alias tables for draws by two look-ups, built from batches of packed kernel rows."""
     import numpy as np
-    import pandas as pd
+    import pyarrow as pa
 
-    def build(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("j")
-        p = pdf["k"].to_numpy() * len(pdf)
+    def table(p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        p = p * len(p)
         keep, other = np.ones(len(p)), np.arange(len(p))
         small, large = [i for i in range(len(p)) if p[i] < 1], [i for i in range(len(p)) if p[i] >= 1]
         while small and large:
@@ -55,10 +54,22 @@ def alias_rows(kernel: DataFrame) -> DataFrame:
             p[big] -= 1 - p[s]
             if p[big] < 1:
                 small.append(large.pop())
-        ids = pdf["j"].to_numpy()
-        return pd.DataFrame({"domain_id": [pdf["domain_id"].iloc[0]], "i": [pdf["i"].iloc[0]], "outs": [ids.tolist()], "keep": [keep.tolist()], "other": [ids[other].tolist()]})
-
-    return kernel.groupBy("domain_id", "i").applyInPandas(build, "domain_id string, i long, outs array<long>, keep array<double>, other array<long>")
+        return keep, other
+
+    def build(batches):
+        for batch in batches:
+            keep, other = [], []
+            for ids, p in zip(batch.column("outs"), batch.column("p"), strict=True):
+                ids = ids.values.to_numpy()
+                k, o = table(p.values.to_numpy())
+                keep.append(k)
+                other.append(ids[o])
+            cols = [*(batch.column(c) for c in ("domain_id", "i", "outs")), pa.array(keep, pa.list_(pa.float64())), pa.array(other, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(cols, ["domain_id", "i", "outs", "keep", "other"])
+
+    rows = kernel.groupBy("domain_id", "i").agg(F.array_sort(F.collect_list(F.struct("j", "k"))).alias("r"))
+    rows = rows.select("domain_id", "i", F.col("r.j").alias("outs"), F.col("r.k").alias("p"))
+    return rows.mapInArrow(build, "domain_id string, i long, outs array<long>, keep array<double>, other array<long>")
 
 
 def draw_alias(pings: DataFrame, rows: DataFrame, seed: int) -> DataFrame:

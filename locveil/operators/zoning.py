@@ -49,16 +49,17 @@ def zone_curve(cells: DataFrame, params: list[tuple[float | None, float]], rots:
     that status.
     """
     ranked = _ranked_params(cells, params, rots, order)
+    return ranked.groupBy("domain_id", "eps_param", "e_min", "rot").applyInPandas(lambda pdf: walked(pdf, kind, exact), ZONES)
 
-    def walk(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf, d, p, eps = _arrays(pdf)
-        at = np.argsort(pdf["rank"].to_numpy())
-        seg = core.segment_table(at, p, d, eps)
-        e_min = float(pdf["e_min"].iloc[0])
-        runs = core.best_contiguous(seg, e_min) if exact else core.curve_walk(seg, d[np.ix_(at, at)], e_min, kind)
-        return _zoned(pdf, int(pdf["rot"].iloc[0]), None if runs is None else [at[a : b + 1] for a, b in runs], d)
 
-    return ranked.groupBy("domain_id", "eps_param", "e_min", "rot").applyInPandas(walk, ZONES)
+def walked(pdf: pd.DataFrame, kind: str = "outer", exact: bool = False) -> pd.DataFrame:
+    """The curve zoning of one domain, parameter pair and rotation."""
+    pdf, d, p, eps = _arrays(pdf)
+    at = np.argsort(pdf["rank"].to_numpy())
+    seg = core.segment_table(at, p, d, eps)
+    e_min = float(pdf["e_min"].iloc[0])
+    runs = core.best_contiguous(seg, e_min) if exact else core.curve_walk(seg, d[np.ix_(at, at)], e_min, kind)
+    return _zoned(pdf, int(pdf["rot"].iloc[0]), None if runs is None else [at[a : b + 1] for a, b in runs], d)
 
 
 def _ranked_params(cells: DataFrame, params, rots, order) -> DataFrame:
@@ -80,15 +81,15 @@ def zone_qkm(cells: DataFrame, params: list[tuple[float | None, float]], max_sam
     Restarts depend on (k, restart, seed) alone, so both ways agree.
     """
     live = with_params(cells, params).select("domain_id", "eps_param", "e_min", "cell_id", "x", "y", "prior", "eps")
-    keys = ["domain_id", "eps_param", "e_min"]
+    how = {"max_samp": max_samp, "patience": patience, "max_iter": max_iter, "tol": tol, "min_size": min_size, "lam": lam, "linkage": linkage, "seed": seed}
+    return live.groupBy("domain_id", "eps_param", "e_min").applyInPandas(lambda pdf: searched(pdf, **how), ZONES)
 
-    def search(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf, d, p, eps = _arrays(pdf)
-        xy = pdf[["x", "y"]].to_numpy()
-        zone = core.choose_zoning(p, xy, d, eps, float(pdf["e_min"].iloc[0]), max_samp, patience, max_iter=max_iter, tol=tol, min_size=min_size, lam=lam, linkage=linkage, seed=seed)
-        return _zoned(pdf, 0, None if zone is None else [np.flatnonzero(zone == z) for z in np.unique(zone)], d)
 
-    return live.groupBy(*keys).applyInPandas(search, ZONES)
+def searched(pdf: pd.DataFrame, **how) -> pd.DataFrame:
+    """The quasi-k-means zoning of one domain and parameter pair."""
+    pdf, d, p, eps = _arrays(pdf)
+    zone = core.choose_zoning(p, pdf[["x", "y"]].to_numpy(), d, eps, float(pdf["e_min"].iloc[0]), **how)
+    return _zoned(pdf, 0, None if zone is None else [np.flatnonzero(zone == z) for z in np.unique(zone)], d)
 
 
 def qkm_by_k(cells: DataFrame, params: list[tuple[float | None, float]], ks: list[int], max_samp: int = 20, **how) -> DataFrame:

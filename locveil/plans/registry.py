@@ -8,10 +8,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import hilbert, portable_uniform
-from ..operators import attack, condition, crowd, domains, exponential, geometry, metrics, sample, zoning
+from ..operators import attack, condition, crowd, domains, exponential, geometry, metrics, sample, table_functions, zoning
 from ..sources import read
 from ..streaming import pings as live
-from . import curve_sql, experiments
+from . import cost, curve_sql, experiments
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -941,3 +941,33 @@ def stream_late(spark, sf_dir):
     df = domains.event_cells(live.pings(spark, at, max_files=2))
     return live.run_available(live.obfuscate(df, p.cells, exponential.packed(p.kernel), 42).select("event_id", "reported_cell"), name="late")
 
+
+# ---- entries for SQL users, cost of a run -----------------------------------------------------------------------------
+
+
+@query("with " + ", ".join([cells_sql("dense"), _PAIRS, _ZONES, _STATS]) + " select zone_id, round(a_out,6) a_out from st")
+def anchor_outer_aggregate(spark, sf_dir):
+    p = _Plain(spark, sf_dir)
+    table_functions.register(spark)
+    points = p.cells.groupBy("domain_id").agg(F.array_sort(F.collect_list(F.struct("x", "y"))).alias("at"))
+    members = p.zones.select("domain_id", "cell_id", "zone_id").join(p.cells, ["domain_id", "cell_id"]).join(points, "domain_id")
+    got = members.groupBy("domain_id", "zone_id").agg(table_functions.anchor_outer_agg("x", "y", "prior", F.col("at.x"), F.col("at.y")).alias("a_out"))
+    return _r(got, "zone_id", a_out="a_out")
+
+
+_ONE_SETTING = [(1.0, 0.1)]
+
+
+@query(_curve_query_sql("dense", _ONE_SETTING))
+def zones_table_function(spark, sf_dir):
+    table_functions.register(spark)
+    geometry.rank_on_curve(_cells(spark, sf_dir), ORDERS["dense"], (0,)).createOrReplaceTempView("ranked_cells")
+    eps, e_min = _ONE_SETTING[0]
+    got = spark.sql(f"SELECT * FROM make_zones(TABLE(ranked_cells) PARTITION BY (domain_id), {eps}D, {e_min}D, 'curve')")
+    return _zone_report(got.withColumns({"eps_param": F.lit(eps), "e_min": F.lit(e_min), "rot": F.lit(0)}))
+
+
+@query("with " + ", ".join([cells_sql("dense"), _PAIRS]) + " select 'pairs' query, count(*) n_rows, true timed, true has_jobs, true has_shuffle from d")
+def run_cost(spark, sf_dir):
+    got = cost.cost(geometry.pairs(_cells(spark, sf_dir)), "pairs")
+    return got.select("query", F.col("rows").alias("n_rows"), (F.col("seconds") > 0).alias("timed"), (F.col("jobs") > 0).alias("has_jobs"), (F.col("shuffle_bytes") > 0).alias("has_shuffle"))
