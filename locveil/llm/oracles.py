@@ -38,8 +38,8 @@ SECRETS = f"""with t as (select doc_id, coalesce(text,'') t from documents), {_s
  sec as (select * from w union all select * from a union all select * from h), other as (select * from i union all select * from p),
  base as (select * from a union all select * from k union all select * from h),
  every as (select * from base union all select * from i where {_near("i", "sec")} union all select * from w where {_near("w", "other")} union all select * from p where {_near("p", "sec")} and {_near("p", "i")}),
- bj as (select doc_id, string_agg(kind||':'||s||':'||e, ',' order by s, e, rank) j, count(*) filter (where kind='assign') na, count(*) filter (where kind='access') nk, count(*) filter (where kind='hex') nh from base group by all),
- ej as (select doc_id, string_agg(kind||':'||s||':'||e, ',' order by s, e, rank) j from every group by all)
+ bj as (select doc_id, string_agg(kind||':'||s||':'||e, ',' order by s, rank, e) j, count(*) filter (where kind='assign') na, count(*) filter (where kind='access') nk, count(*) filter (where kind='hex') nh from base group by all),
+ ej as (select doc_id, string_agg(kind||':'||s||':'||e, ',' order by s, rank, e) j from every group by all)
 select t.doc_id, coalesce(na,0)::bigint n_assign, coalesce(nk,0)::bigint n_access, coalesce(nh,0)::bigint n_hex, sha256(coalesce(bj.j,'')) base_sha256, coalesce(ej.j,'') spans from t left join bj on bj.doc_id=t.doc_id left join ej on ej.doc_id=t.doc_id"""
 
 _ESC = r"length(replace(replace({c},'\','\s'),'<|','\l|'))"

@@ -23,11 +23,11 @@ ENDPOINT = r"""(?i:(?:\b|_)(?:https?|s3|ftp|ssh|jdbc:[a-z]+|postgres(?:ql)?|mysq
 #: Code points between the parts of one credential, at most (the scope).
 SCOPE = 200
 
-_SPAN = "array<struct<start:int,stop:int,rank:int,kind:string>>"
+_SPAN = "array<struct<start:int,rank:int,stop:int,kind:string>>"  # in the order of the spans
 
 
 def spans_of(text: Column, pattern: str, kind: str, rank: int, keep_group: int | None = None, least: int = 0) -> Column:
-    """Leftmost non-overlapping matches as (start, stop, rank, kind); with keep_group, only where that group is long enough.
+    """Leftmost non-overlapping matches as (start, rank, stop, kind); with keep_group, only where that group is long enough.
 
     The expression is empty without further work where the pattern doesn't occur.
     """
@@ -39,7 +39,7 @@ def spans_of(text: Column, pattern: str, kind: str, rank: int, keep_group: int |
 
     def step(acc: Column, x: Column) -> Column:
         begin = acc["at"] + x["g"]
-        span = F.struct(begin.alias("start"), (begin + x["m"]).alias("stop"), F.lit(rank).alias("rank"), F.lit(kind).alias("kind"))
+        span = F.struct(begin.alias("start"), F.lit(rank).alias("rank"), (begin + x["m"]).alias("stop"), F.lit(kind).alias("kind"))
         return F.struct((begin + x["m"]).alias("at"), F.when(x["k"] >= least, F.concat(acc["spans"], F.array(span))).otherwise(acc["spans"]).alias("spans"))
 
     return F.when(text.rlike(pattern), F.aggregate(sized, start, step, lambda acc: acc["spans"])).otherwise(F.array().cast(_SPAN))
@@ -88,8 +88,11 @@ def secret_digest(docs: DataFrame) -> DataFrame:
 
 
 def redact(docs: DataFrame, mask: str = "[SECRET]") -> DataFrame:
-    """The same columns, each found span replaced by ``mask`` (overlapping spans by one) and n_chars counted anew."""
-    df = scan(docs)
+    """The same columns, each found span replaced by ``mask`` (overlapping spans by one) and n_chars counted anew.
+
+    Columns of any name pass through as they are.
+    """
+    df = scan(docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), "text"))
     body = F.coalesce(F.col("text"), F.lit(""))
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("made"))
 
@@ -100,7 +103,8 @@ def redact(docs: DataFrame, mask: str = "[SECRET]") -> DataFrame:
 
     clean = F.aggregate("__found", start, step, lambda acc: F.concat(acc["made"], body.substr(acc["at"] + 1, F.length(body))))
     text = F.when(F.size("__found") > 0, clean).otherwise(F.col("text"))
-    out = df.withColumn("text", text)
+    fresh = {"text": F.col("text")}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.size("__found") > 0, F.length("text").cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("n_chars")))
-    return out.select(*docs.columns)
+        fresh["n_chars"] = F.when(F.size("__found") > 0, F.length("text").cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("row.n_chars"))
+    df = df.withColumn("text", text)
+    return df.select(*(fresh.get(c, F.col("row").getField(c)).alias(c) for c in docs.columns))
