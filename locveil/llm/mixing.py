@@ -80,7 +80,8 @@ def pivot(key: np.ndarray, size: np.ndarray, part: np.ndarray, seed: int) -> np.
 
 def _stream(key: np.ndarray, seed: int) -> np.ndarray:
     at = np.arange(len(key), dtype=np.uint64)
-    h = mix(mix(key.view(np.uint64) + np.uint64(seed) * np.uint64(0x9E3779B97F4A7C15)) ^ (at * np.uint64(0xD1342543DE82EF95)))
+    step = np.uint64(seed * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)
+    h = mix(mix(key.view(np.uint64) + step) ^ (at * np.uint64(0xD1342543DE82EF95)))
     return (h >> np.uint64(11)).astype(np.float64) / (1 << 53)
 
 
@@ -144,9 +145,8 @@ def _round_bucket(pdf: pd.DataFrame, seed: int, last: bool) -> pd.DataFrame:
     pdf = pdf.sort_values(["source", "size", "key", "doc_id"], ascending=[True, False, True, True], na_position="last", kind="stable").reset_index(drop=True)
     part = pdf["part"].to_numpy(np.float64).copy()
     key, size = pdf["key"].to_numpy(np.int64), pdf["size"].to_numpy(np.int64)
-    source = pdf["source"].fillna("\x00null") if pdf["source"].isna().any() else pdf["source"]
-    for _, at in pdf.groupby(source, sort=False).indices.items():
-        at = np.sort(at)
+    source = pdf["source"].factorize()[0]  # rows of a source are neighbours, and null has a number of its own
+    for at in np.split(np.arange(len(source)), np.flatnonzero(np.diff(source)) + 1):
         x = pivot(key[at], size[at], part[at], seed)
         if last:
             open_ = np.flatnonzero((x > 0) & (x < 1))
