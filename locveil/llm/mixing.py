@@ -103,7 +103,7 @@ def mix_sources(docs: DataFrame, seed: int = 17, share: float = SHARE, cap: floa
     the rows, whatever their order and partitions.
     """
     spark: SparkSession = docs.sparkSession
-    sizes = sized(docs)
+    sizes = written(sized(docs), "sizes")  # texts are read once
     # One row per source reaches the driver: a few numbers each, as many as there are sources.
     stats = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("rows")).collect()
     stats = sorted(stats, key=lambda r: (r["source"] is None, r["source"] or ""))
