@@ -686,7 +686,8 @@ def sample_alias(spark, sf_dir):
     return sample.draw_alias(_inside(spark, sf_dir)[1], sample.alias_rows(p.kernel), 42).select("event_id", "cell_id", "reported_cell")
 
 
-@query()
+@query(SQL["sample_reports"].replace(" select * from w", """, gn as (select cell_id, count(*) n from w group by all), go as (select cell_id, reported_cell j, count(*) o from w group by all)
+ select gn.cell_id, gn.n, round(sum(pow(coalesce(o,0)-gn.n*k,2)/(gn.n*k)),6) chi2, count(*) cells from gn join k on i=gn.cell_id left join go on go.cell_id=i and go.j=k.j group by gn.cell_id, gn.n"""))
 def sample_goodness(spark, sf_dir):
     p = _Plain(spark, sf_dir, "sparse")
     reports = sample.draw(_inside(spark, sf_dir)[1], exponential.packed(p.kernel), 42)
