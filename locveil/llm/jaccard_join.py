@@ -37,6 +37,8 @@ MOST_COMMON_ENTRIES = 1 << 21
 BLOCK = 1024
 #: Halves by hash of the n-grams that are not frequent, then of the frequent ones.
 FRAGMENTS = 4
+#: The bitmap of wanted rows has 2^15 to 2^27 bits (16 MB), 32 for each row where that is enough.
+_LEAST_MAP_BITS, _MOST_MAP_BITS, _BITS_A_ROW = 15, 27, 32
 #: Fingerprints are counted in 2^10 parts, and in more, up to 2^16, where the input has many tasks.
 _PART_BITS, _MOST_PART_BITS = 10, 16
 
@@ -362,12 +364,30 @@ def _with_parity(pairs: DataFrame, classes: DataFrame, num: int, den: int) -> Da
     return both.mapInArrow(near, "a long, b long, na long, nb long")
 
 
+def _bitmap(keys: DataFrame) -> np.ndarray:
+    """Bits set at the lowest bits of each key: of fixed greatest size, it lets some more keys pass but stops none."""
+    bits = min(_MOST_MAP_BITS, max(_LEAST_MAP_BITS, (_BITS_A_ROW * keys.count()).bit_length()))
+    place = F.col("key").bitwiseAND((1 << bits) - 1)
+    at = keys.select((F.shiftright(place, 15)).cast("int").alias("part"), place.bitwiseAND((1 << 15) - 1).alias("bit"))
+    out = np.zeros((1 << bits - 15, 1 << 12), np.uint8)
+    for r in at.groupBy("part").agg(F.bitmap_construct_agg("bit").alias("bits")).toLocalIterator():
+        out[r.part] = np.frombuffer(r.bits, np.uint8)
+    return out.reshape(-1)
+
+
 def _segments(docs: DataFrame, wanted: DataFrame, k: int, order: _Order) -> DataFrame:
-    """One row for each wanted document and fragment of the global order: its n-grams there."""
+    """One row for each document whose ``key`` is wanted (and some few more) and fragment of the global order: its n-grams there.
+
+    Texts don't move for that: tasks get a bitmap of the wanted keys.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast(_bitmap(wanted))
 
     def cut(batches):
+        bitmap = sent.value
         for batch in batches:
-            for _, values, ptr in _sets(batch.column(0), k):
+            place = batch.column(0).to_numpy() & (8 * len(bitmap) - 1)
+            texts = batch.column(1).filter(pa.array((bitmap[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool)))
+            for _, values, ptr in _sets(texts, k):
                 frag = FRAGMENTS // 2 * order.last(values) + (values >> np.uint64(63)).astype(np.int32)
                 names = _class_ids(values, ptr)
                 row_of = np.repeat(np.arange(len(ptr) - 1), np.diff(ptr))
@@ -381,8 +401,7 @@ def _segments(docs: DataFrame, wanted: DataFrame, k: int, order: _Order) -> Data
                 list_ptr = np.append(start, len(values)).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([pa.array(owner), pa.array(frag[start]), pa.ListArray.from_arrays(pa.array(list_ptr), pa.array(values.view(np.int64)))], ["rep", "frag", "grams"])
 
-    kept = _keyed(docs).select("key", "text").join(wanted, "key", "left_semi").select("text")
-    return written(kept.mapInArrow(cut, "rep long, frag int, grams array<long>"), "segments")
+    return written(_keyed(docs).select("key", "text").mapInArrow(cut, "rep long, frag int, grams array<long>"), "segments")
 
 
 def _overlaps(pairs: DataFrame, segments: DataFrame, num: int, den: int) -> DataFrame:
@@ -431,7 +450,8 @@ def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     sketches = _sketches(docs, k, num, den, order)
     full = sketches.where("n_shingles > 0")
     firsts = written(full.groupBy("rep").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("first")), "firsts")
-    classes = full.join(firsts.select(F.col("first.key").alias("key")).distinct(), "key", "left_semi").dropDuplicates(["rep"])
+    # Both columns name the row of a class: what the join deals out by them needs no other exchange to lose rows that repeat.
+    classes = full.join(firsts.select("rep", F.col("first.key").alias("key")), ["key", "rep"], "left_semi").dropDuplicates(["key", "rep"])
     classes = written(classes.select("key", "rep", "n_shingles", "rare", "often", "parity"), "classes")
     size = classes.select("rep", F.col("n_shingles").alias("n"))
 
@@ -443,27 +463,34 @@ def _nodes(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     parents = met.where("parent is not null").select(F.least("rep", "parent").alias("a"), F.greatest("rep", "parent").alias("b")).distinct()
     tried = _with_parity(parents, classes, num, den).union(sized(_common_pairs(classes, num, den, None)))
     tried = written(tried.distinct(), "tried")
-    wanted = classes.join(met.select("rep").distinct(), "rep", "left_semi").select("key").union(classes.where(F.size("often") > 0).select("key")).distinct()
-    segments = _segments(docs, wanted, k, order)
 
     def counted(pairs: DataFrame) -> DataFrame:
-        return _overlaps(pairs, segments, num, den)
+        """Pairs that link; only the texts at their ends are cut into segments."""
+        ends = pairs.select(F.col("a").alias("rep")).union(pairs.select("b")).distinct()
+        segments = _segments(docs, classes.select("key", "rep").join(ends, "rep", "left_semi").select("key"), k, order)
+        found = written(_overlaps(pairs, segments, num, den), "links")
+        drop(segments)
+        return found
 
     # A pair of each document first; then all tried pairs between the components these make; then what lies between the rest.
     picked = written(_least(tried), "picked")
-    links = written(counted(picked), "links")
-    labels = _labels(links, firsts)
-    left = _across(tried.join(picked, ["a", "b"], "left_anti"), labels)
-    links = links.union(written(counted(left), "links"))
+    links = counted(picked)
     labels = _labels(links, firsts)
+    left = written(_across(tried.join(picked, ["a", "b"], "left_anti"), labels), "left")
+    drop(tried, picked)
+    if not left.isEmpty():
+        links = links.union(counted(left))
+        labels = _labels(links, firsts)
     rest = _with_parity(_between(met, labels, num, den), classes, num, den).union(sized(_common_pairs(classes, num, den, labels)))
-    last = written(counted(rest.distinct()), "links")
-    if not last.isEmpty():
-        labels = _labels(links.union(last), firsts)
+    rest = written(rest.distinct(), "rest")
+    drop(met, left)
+    if not rest.isEmpty():
+        labels = _labels(links.union(counted(rest)), firsts)
+    drop(rest, classes)
     of_class = firsts.join(labels, "rep", "left").select("rep", F.coalesce("least", "first").alias("first"))
     node = sketches.select("key", "doc_id", "n_shingles", "rep").join(of_class, "rep", "left")
     out = written(node.select("key", "doc_id", "n_shingles", "first"), "nodes")
-    drop(sketches, firsts, classes, met, tried, picked, segments)
+    drop(sketches, firsts)
     return out
 
 
