@@ -3,6 +3,7 @@
 import math
 
 import pytest
+from pyspark.sql import functions as F
 
 from locveil.operators import attack, condition, crowd, domains, exponential, geometry, metrics, sample, zoning
 from locveil.plans import experiments, registry, schemes
@@ -25,8 +26,10 @@ def test_hilbert_properties(spark):
 
 
 def test_toy_counterexample(spark):
-    r = registry.toy_counterexample(spark, SF).first()
-    assert (r.a_in, r.a_out, r.gap, r.convex) == (76.6667, 74.3004, True, True)
+    cells = domains.toy4(spark)
+    zones = cells.select("domain_id", "cell_id", F.when(F.col("cell_id") < 3, 0).otherwise(3).cast("long").alias("zone_id"))
+    r = registry._counterexamples(cells, zones).where("zone_id = 0").first()
+    assert (round(r.a_in, 4), round(r.a_out, 4), r.gap, r.convex) == (76.6667, 74.3004, True, True)
 
 
 def test_exhaustive_search_and_methods_agree(spark):

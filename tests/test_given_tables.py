@@ -8,7 +8,7 @@ from locveil.plans import registry
 SF = "/root/testdata/sf0.01"
 
 
-@pytest.mark.parametrize("name", ["eps_weight_curve", "hilbert_4x4", "hilbert_8x8", "lp_geo_toy2"])
+@pytest.mark.parametrize("name", ["eps_weight_curve", "hilbert_4x4", "hilbert_8x8", "lp_geo_toy2", "toy_counterexample"])
 def test_reads_a_given_table(spark, name):
     df = registry.QUERIES[name](spark, SF)
     assert any(f.startswith(f"file://{SF}/") for f in df.inputFiles())
