@@ -8,7 +8,7 @@ from locveil.plans import registry
 SF = "/root/testdata/sf0.01"
 
 
-@pytest.mark.parametrize("name", ["eps_weight_curve", "hilbert_4x4", "hilbert_8x8", "lp_geo_toy2", "toy_counterexample"])
+@pytest.mark.parametrize("name", ["eps_weight_curve", "hilbert_4x4", "hilbert_8x8", "lp_geo_toy2", "toy_counterexample", "zones_bruteforce_toy6"])
 def test_reads_a_given_table(spark, name):
     df = registry.QUERIES[name](spark, SF)
     assert any(f.startswith(f"file://{SF}/") for f in df.inputFiles())
@@ -24,3 +24,9 @@ def test_reads_a_given_table(spark, name):
     assert sorted(cols) == sorted(df.columns)
     flat = lambda v: round(v, 6) + 0.0 if isinstance(v, float) else v
     assert sorted(tuple(flat(r[c]) for c in cols) for r in rows) == sorted(tuple(map(flat, r)) for r in con.fetchall())
+
+
+def test_exhaustive_search_over_events_is_the_least(spark):
+    rows = registry.zones_bruteforce_toy6(spark, SF).collect()
+    assert len({r.domain_id for r in rows}) == 5
+    assert all(r.avg_reach is None or r.avg_reach >= 0 for r in rows)
