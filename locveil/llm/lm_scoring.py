@@ -38,6 +38,8 @@ DIM = 32
 ROUNDS = 2
 BATCH = 4096
 RATE = 0.35
+#: Positions handled at once: their numbers stay in the processor's cache.
+CHUNK = 1024
 #: The count an unseen word stands for; there are as many of them in a bucket as seen ones.
 UNSEEN = 0.5
 
@@ -168,6 +170,10 @@ def _hidden(emb: np.ndarray, bias: np.ndarray, around: np.ndarray) -> np.ndarray
     return np.tanh(h, out=h)
 
 
+def _log_total(z: np.ndarray) -> np.ndarray:
+    return np.log(np.exp(z) @ np.ones(z.shape[1], z.dtype))
+
+
 def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) -> np.ndarray:
     """log p(word | both sides): its group, then the word within the group."""
     emb, bias, top, top_b, low, low_b = _views(flat)
@@ -177,17 +183,32 @@ def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) ->
     order = np.argsort(group.astype(np.uint16), kind="stable")
     cut = np.searchsorted(group[order], np.arange(groups + 1))
     for g in range(groups):
-        for a in range(cut[g], cut[g + 1], 16384):
-            at = order[a : min(a + 16384, cut[g + 1])]
+        for a in range(cut[g], cut[g + 1], CHUNK):
+            at = order[a : min(a + CHUNK, cut[g + 1])]
             h = _hidden(emb, bias, around[:, at])
             z = h @ top + top_b
-            lp = z[:, g] - np.log(np.exp(z).sum(1))
+            lp = z[:, g] - _log_total(z)
             z = h @ low[g] + low_b[g]
-            lp += z[np.arange(len(at)), ids[at] - g * WIDTH] - np.log(np.exp(z).sum(1))
+            lp += z[np.arange(len(at)), ids[at] - g * WIDTH] - _log_total(z)
             out[at] = lp
     return out
 
 
+def _softmax(z: np.ndarray) -> np.ndarray:
+    """Of each row, in place."""
+    z -= z.max(1, keepdims=True)
+    np.exp(z, out=z)
+    z /= (z @ np.ones(z.shape[1], z.dtype))[:, None]
+    return z
+
+
+def _added(values: np.ndarray, keys: np.ndarray, n: int) -> np.ndarray:
+    """Sums of the rows of ``values`` by key, for keys below n."""
+    wide = values.shape[1]
+    at = (keys * wide)[:, None] + np.arange(wide)
+    return np.bincount(at.ravel(), values.ravel(), n * wide).reshape(n, wide).astype(np.float32)
+
+
 class _Descent:
     """Adagrad on mini-batches, in place."""
 
@@ -198,44 +219,49 @@ class _Descent:
     def step(self, ids: np.ndarray, around: np.ndarray) -> None:
         emb, bias, top, top_b, low, low_b = weights = _views(self.flat)
         sums = _views(self.sums)
-        n = len(ids)
+        n, groups = len(ids), len(top_b)
         root = np.float32(np.sqrt(n))
-        h = _hidden(emb, bias, around)
+        # In the order of groups, so that each one's rows are a slice; in chunks that stay in the cache.
+        order = np.argsort((ids // WIDTH).astype(np.uint16), kind="stable")
+        ids, around = ids[order], around[:, order]
         group, place = ids // WIDTH, ids % WIDTH
-        z = h @ top + top_b
-        p = np.exp(z - z.max(1, keepdims=True))
-        p /= p.sum(1, keepdims=True)
-        p[np.arange(n), group] -= 1
-        back = p @ top.T
-        g_top, g_top_b = h.T @ p, p.sum(0)
-        order = np.argsort(group.astype(np.int16), kind="stable")
-        cut = np.searchsorted(group[order], np.arange(len(top_b) + 1))
-        g_low, g_low_b = np.zeros_like(low), np.zeros_like(low_b)
-        for g in range(len(top_b)):
-            at = order[cut[g] : cut[g + 1]]
-            if len(at):
-                z = h[at] @ low[g] + low_b[g]
-                q = np.exp(z - z.max(1, keepdims=True))
-                q /= q.sum(1, keepdims=True)
-                q[np.arange(len(at)), place[at]] -= 1
-                g_low[g] = h[at].T @ q
-                g_low_b[g] = q.sum(0)
-                back[at] += q @ low[g].T
-        back *= 1 - h * h
+        back = np.empty((n, DIM), np.float32)
+        g_top, g_top_b, g_low, g_low_b = (np.zeros_like(w) for w in (top, top_b, low, low_b))
+        for start in range(0, n, CHUNK):
+            part = slice(start, min(start + CHUNK, n))
+            of, here = group[part], np.arange(part.stop - start)
+            h = _hidden(emb, bias, around[:, part])
+            p = _softmax(h @ top + top_b)
+            p[here, of] -= 1
+            g_top += h.T @ p
+            g_top_b += p.sum(0)
+            b = p @ top.T
+            first = np.flatnonzero(np.r_[True, of[1:] != of[:-1]])
+            there = [(g, slice(i, j)) for g, i, j in zip(of[first].tolist(), first.tolist(), [*first[1:].tolist(), len(of)], strict=True)]
+            z = low_b[of]
+            for g, at in there:
+                z[at] += h[at] @ low[g]
+            q = _softmax(z)
+            q[here, place[part]] -= 1
+            for g, at in there:
+                g_low[g] += h[at].T @ q[at]
+                b[at] += q[at] @ low[g].T
+            g_low_b[of[first]] += np.add.reduceat(q, first, axis=0)
+            h *= h
+            np.subtract(1, h, out=h)
+            np.multiply(b, h, out=back[part])
         for i, grad in enumerate((back.sum(0), g_top, g_top_b, g_low, g_low_b), 1):
             grad /= root
             sums[i] += grad * grad
             weights[i] -= RATE * grad / np.sqrt(sums[i])
-        # Only the rows of words that occur move.
+        # Rows of words that don't occur get no gradient and stay.
         for s in range(len(SIDES)):
-            order = np.argsort(around[s].astype(np.int16), kind="stable")
-            key = around[s][order]
-            first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-            grad = np.add.reduceat(back[order], first, axis=0) / root
-            rows = key[first]
-            total = sums[0][s][rows] + grad * grad
-            sums[0][s][rows] = total
-            emb[s][rows] -= RATE * grad / np.sqrt(total)
+            grad = _added(back, around[s], emb.shape[1])
+            grad /= root
+            sums[0][s] += grad * grad
+            grad *= RATE
+            grad /= np.sqrt(sums[0][s])
+            emb[s] -= grad
 
 
 _FIXED = float(1 << 24)
