@@ -26,7 +26,7 @@ def test_reads_a_given_table(spark, name):
     assert sorted(tuple(flat(r[c]) for c in cols) for r in rows) == sorted(tuple(map(flat, r)) for r in con.fetchall())
 
 
-def test_exhaustive_search_over_events_is_the_least(spark):
+def test_exhaustive_search_takes_every_type_of_event(spark):
     rows = registry.zones_bruteforce_toy6(spark, SF).collect()
     assert len({r.domain_id for r in rows}) == 5
     assert all(r.avg_reach is None or r.avg_reach >= 0 for r in rows)
