@@ -34,8 +34,6 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 _BYTE = mix(np.arange(1, 257, dtype=np.uint64) * _ODD)
-_SPACE = np.zeros(256, bool)
-_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _FOLD = np.arange(256)
 _FOLD[65:91] += 32
 _BYTE_FOLDED = _BYTE[_FOLD]
@@ -78,14 +76,15 @@ def words(data: np.ndarray, offsets: np.ndarray, fold: bool = True) -> tuple[np.
         return np.zeros(0, np.uint64), none, none, np.zeros(len(offsets), np.int64)
     cut = np.zeros(n + 1, bool)
     cut[offsets] = True
-    space = _SPACE[data]
+    space = data == 0x20
+    space |= data - np.uint8(9) < 5
     solid = ~space
     first = solid.copy()
     first[1:] &= space[:-1] | cut[1:n]
     last = solid.copy()
     last[:-1] &= space[1:] | cut[1:n]
     starts, ends = np.flatnonzero(first), np.flatnonzero(last) + 1
-    value = (_BYTE_FOLDED if fold else _BYTE)[data]
+    value = (_BYTE_FOLDED if fold else _BYTE).take(data)
     value *= _power(_BASE, n)[:n]
     total = np.empty(n + 1, np.uint64)
     total[0] = 0
@@ -94,6 +93,24 @@ def words(data: np.ndarray, offsets: np.ndarray, fold: bool = True) -> tuple[np.
     return hashes, starts, ends, np.searchsorted(starts, offsets)
 
 
+#: Bytes whose words are hashed at once: the arrays of 8 bytes for each stay in the processor's cache.
+BLOCK_BYTES = 1 << 17
+
+
+def hashed_words(data: np.ndarray, offsets: np.ndarray, fold: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    """The hashes and first words of `words`, by blocks of whole rows."""
+    n = len(offsets) - 1
+    hashes, rows, row, made = [np.zeros(0, np.uint64)], [np.zeros(1, np.int64)], 0, 0
+    while row < n:
+        end = min(n, max(row + 1, int(np.searchsorted(offsets, offsets[row] + BLOCK_BYTES, "right")) - 1))
+        own, _, _, first = words(data[offsets[row] : offsets[end]], offsets[row : end + 1] - offsets[row], fold)
+        hashes.append(own)
+        rows.append(first[1:] + made)
+        made += len(own)
+        row = end
+    return np.concatenate(hashes), np.concatenate(rows)
+
+
 def shingles(hashes: np.ndarray, rows: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of all runs of k words (in a row of fewer words: of its whole sequence), and each row's first one."""
     n = np.diff(rows)

@@ -6,6 +6,7 @@ table that grows with the corpus and is joined, so that every token has its own
 probability.  A bucket keeps half a count for each of as many unseen words as it
 has seen ones.  The vocabulary grows with the token count.
 
+Counts of the most frequent of those words are sent to the tasks, which spares most of that join's rows.
 Vocabulary counts and training both cover the whole corpus.  Training is local
 gradient descent in every task from shared parameters, followed by one weighted
 average; every position of every text is a target in one of the rounds.
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._scratch import written
-from ._tokens import mix, pieces, words
+from ._tokens import hashed_words, mix, pieces
 
 #: Groups of words at least, and the token count from which there are more (by its fourth root: every
 #: task returns all weights, so shuffled data would otherwise grow much faster than the input).
@@ -39,9 +40,11 @@ ROUNDS = 2
 BATCH = 4096
 RATE = 0.35
 #: Positions handled at once: their numbers stay in the processor's cache.
-CHUNK = 1024
+CHUNK = 2048
 #: The count an unseen word stands for; there are as many of them in a bucket as seen ones.
 UNSEEN = 0.5
+#: So many of the most frequent words at most go to every task with their counts; the others' counts are joined.
+NEAR = 1 << 16
 
 
 class Params(NamedTuple):
@@ -49,11 +52,14 @@ class Params(NamedTuple):
     ids: np.ndarray
     flat: np.ndarray  # all weights, float32
     spread: np.ndarray  # log of each bucket's total count, with its unseen words
+    near: np.ndarray  # hashes of frequent words, sorted
+    logs: np.ndarray  # the logs of their counts
     counts: DataFrame | None  # word, n of every word; not sent to the tasks
 
 
 def _shapes(groups: int) -> tuple[tuple[int, ...], ...]:
-    return (len(SIDES), groups * WIDTH + 1, DIM), (DIM,), (DIM, groups), (groups,), (groups, DIM, WIDTH), (groups, WIDTH)
+    # The last row of both softmax levels is the bias: the hidden row ends with a one.
+    return (len(SIDES), groups * WIDTH + 1, DIM), (DIM,), (DIM + 1, groups), (groups, DIM + 1, WIDTH)
 
 
 def _n_weights(groups: int) -> int:
@@ -81,8 +87,8 @@ def _views(flat: np.ndarray) -> list[np.ndarray]:
 def _start(groups: int = GROUPS, seed: int = 1) -> np.ndarray:
     rng = np.random.default_rng(seed)
     flat = np.zeros(_n_weights(groups), np.float32)
-    emb, _, top, _, low, _ = _views(flat)
-    for w, scale in ((emb, 0.1), (top, 0.2), (low, 0.2)):
+    emb, _, top, low = _views(flat)
+    for w, scale in ((emb, 0.1), (top[:DIM], 0.2), (low[:, :DIM], 0.2)):
         w[...] = rng.normal(0, scale, w.shape)
     return flat
 
@@ -95,7 +101,7 @@ def word_counts(docs: DataFrame) -> DataFrame:
         size = 0
         for batch in batches:
             for _, _, data, offsets in pieces(batch.column(0)):
-                held.append(words(data, offsets)[0])
+                held.append(hashed_words(data, offsets)[0])
                 size += len(held[-1])
                 if size > 1 << 21:
                     yield _counts(held)
@@ -107,11 +113,20 @@ def word_counts(docs: DataFrame) -> DataFrame:
     return written(sums, "word-counts")
 
 
-def vocabulary(counts: DataFrame) -> tuple[np.ndarray, np.ndarray, int, np.ndarray]:
-    """Hashes and ids of the most frequent words (ties go by hash), the number of groups and each bucket's log total."""
+def vocabulary(counts: DataFrame) -> tuple[np.ndarray, np.ndarray, int, np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes and ids of the most frequent words (ties go by hash), the number of groups, each bucket's log total,
+    and hashes and log counts of up to NEAR frequent words."""
     # Signed longs stand for unsigned hashes: the remainder by OTHERS from that of the upper 63 bits.
     bucket = (F.shiftrightunsigned("word", 1) % (OTHERS // 2) * 2 + F.col("word").bitwiseAND(1)).cast("int")
-    sums = counts.groupBy(bucket.alias("bucket")).agg(F.sum("n").alias("n"), F.count("*").alias("types")).toPandas()
+    level = F.floor(8 * F.log2("n")).cast("int")  # a few hundred values, whatever the corpus
+    sums = counts.groupBy(bucket.alias("bucket"), level.alias("level")).agg(F.sum("n").alias("n"), F.count("*").alias("types")).toPandas()
+    above = sums.groupby("level")["types"].sum().sort_index(ascending=False).cumsum()
+    least = above.index[above <= NEAR].min() if (above <= NEAR).any() else None
+    near = counts.where(F.lit(False) if least is None else level >= int(least)).select("word", "n").toArrow()
+    near_words = near.column("word").to_numpy().view(np.uint64)
+    sort = np.argsort(near_words)
+    near_logs = np.log(near.column("n").to_numpy()[sort].astype(np.float64))
+    sums = sums.groupby("bucket", as_index=False)[["n", "types"]].sum()
     groups = _groups_for(int(sums["n"].sum()))
     top = counts.orderBy(F.desc("n"), "word").limit(groups * WIDTH - OTHERS).toPandas()
     hashes = top["word"].to_numpy(np.int64).view(np.uint64)
@@ -122,7 +137,7 @@ def vocabulary(counts: DataFrame) -> tuple[np.ndarray, np.ndarray, int, np.ndarr
     total -= np.bincount(own, top["n"].to_numpy(np.float64), OTHERS)
     types -= np.bincount(own, minlength=OTHERS)
     order = np.argsort(hashes)
-    return hashes[order], order.astype(np.int16), groups, np.log(total + UNSEEN * np.maximum(types, 1))
+    return hashes[order], order.astype(np.int16), groups, np.log(total + UNSEEN * np.maximum(types, 1)), near_words[sort], near_logs
 
 
 def _counts(held: list[np.ndarray]) -> pa.RecordBatch:
@@ -139,74 +154,135 @@ def _ids(column: pa.Array, params: Params) -> Iterator[tuple[int, int, np.ndarra
 def _hashed(column: pa.Array, params: Params) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
     """First row, end row, word hashes, word ids and each row's first word."""
     others = _groups(params.flat) * WIDTH - OTHERS
+    find = _Finder(params.words)
     for row, end, data, offsets in pieces(column):
-        hashes, _, _, rows = words(data, offsets)
-        ids = (others + (hashes % np.uint64(OTHERS)).astype(np.int64)).astype(np.int16)
-        if len(params.words):
-            at = np.minimum(np.searchsorted(params.words, hashes), len(params.words) - 1)
-            ids = np.where(params.words[at] == hashes, params.ids[at], ids)
+        hashes, rows = hashed_words(data, offsets)
+        ids = (hashes % np.uint64(OTHERS)).astype(np.int16)
+        ids += np.int16(others)
+        at, found = find(hashes)
+        np.copyto(ids, params.ids.take(at, mode="clip") if len(params.ids) else ids, where=found)
         yield row, end, hashes, ids, rows
 
 
+class _Finder:
+    """Places of hashes in a sorted array without repeats, by their upper bits."""
+
+    def __init__(self, words: np.ndarray):
+        bits = max(len(words).bit_length() + 3, 8)
+        self.words, self.shift = words, np.uint64(64 - bits)
+        self.first = np.searchsorted(words, np.arange(1 << bits, dtype=np.uint64) << self.shift).astype(np.int32)
+        self.shared = np.diff(self.first, append=np.int32(len(words))) > 1
+
+    def __call__(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Place, and whether the hash is there."""
+        if not len(self.words):
+            return np.zeros(len(hashes), np.int64), np.zeros(len(hashes), bool)
+        upper = (hashes >> self.shift).astype(np.int64)
+        at = self.first.take(upper).astype(np.int64)
+        found = self.words.take(at, mode="clip") == hashes
+        # Some words share their upper bits with an earlier one.
+        rest = np.flatnonzero(self.shared.take(upper) & ~found)
+        at[rest] = np.searchsorted(self.words, hashes[rest])
+        found[rest] = self.words.take(at[rest], mode="clip") == hashes[rest]
+        return at, found
+
+
 def _contexts(ids: np.ndarray, rows: np.ndarray, edge: int = EDGE) -> np.ndarray:
     """Ids on each side of every word (side by word), ``edge`` beyond its text."""
     n = len(ids)
-    size = np.diff(rows)
-    first, last = np.repeat(rows[:-1], size), np.repeat(rows[1:], size)
-    here = np.arange(n)
     out = np.full((len(SIDES), n), edge, np.int16)
     for s, step in enumerate(SIDES):
-        at = here + step
-        ok = (at >= first) & (at < last)
-        out[s, ok] = ids[at[ok]]
+        by = min(abs(step), n)
+        if step < 0:
+            out[s, by:] = ids[: n - by]
+        else:
+            out[s, : n - by] = ids[by:]
+        for k in range(by):
+            # The k-th word from that end of its text, where there is one.
+            at = rows[:-1] + k if step < 0 else rows[1:] - 1 - k
+            out[s, at[at < rows[1:] if step < 0 else at >= rows[:-1]]] = edge
     return out
 
 
-def _hidden(emb: np.ndarray, bias: np.ndarray, around: np.ndarray) -> np.ndarray:
-    h = emb[0][around[0]]
+#: Beyond these, exp() of a float32 sum might leave its range, and the largest of the row is taken off first.
+_WIDE = 60.0
+
+
+class _Room:
+    """Arrays of one chunk that every use fills anew: fresh ones of that size would cost page faults each time."""
+
+    def __init__(self, n: int, groups: int):
+        self.h = np.ones((n, DIM + 1), np.float32)
+        self.rows, self.sum, self.scaled = (np.empty((n, w), np.float32) for w in (DIM, DIM, DIM + 1))
+        self.top, self.low = np.empty((n, groups), np.float32), np.empty((n, WIDTH), np.float32)
+        self.here = np.arange(n)
+
+
+def _hidden(emb: np.ndarray, bias: np.ndarray, around: np.ndarray, room: _Room) -> np.ndarray:
+    """tanh of the sum over the sides, and a one; tanh(x) is 1 - 2 / (exp(2x) + 1), which is right at both ends."""
+    n = around.shape[1]
+    x, row = room.sum[:n], room.rows[:n]
+    np.take(emb[0], around[0], 0, out=x, mode="clip")
     for s in range(1, len(SIDES)):
-        h += emb[s][around[s]]
-    h += bias
-    return np.tanh(h, out=h)
+        x += np.take(emb[s], around[s], 0, out=row, mode="clip")
+    x += bias
+    x *= 2
+    np.minimum(x, _WIDE, out=x)
+    np.exp(x, out=x)
+    x += 1
+    np.divide(-2, x, out=x)
+    np.add(x, 1, out=room.h[:n, :DIM])
+    return room.h[:n]
+
+
+def _exp(z: np.ndarray) -> np.ndarray:
+    """In place; what is taken off first where numbers are large, for each row (0 where none are)."""
+    off = np.zeros((1, 1), z.dtype)
+    if z.size and not (z.max() < _WIDE and z.min() > -_WIDE):
+        off = z.max(1, keepdims=True)
+        z -= off
+    np.exp(z, out=z)
+    return off[:, 0]
 
 
-def _log_total(z: np.ndarray) -> np.ndarray:
-    return np.log(np.exp(z) @ np.ones(z.shape[1], z.dtype))
+def _ones(n: int) -> np.ndarray:
+    return np.ones(n, np.float32)
 
 
-def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) -> np.ndarray:
-    """log p(word | both sides): its group, then the word within the group."""
-    emb, bias, top, top_b, low, low_b = _views(flat)
-    groups = len(top_b)
-    out = np.empty(len(ids), np.float32)
-    group = ids // WIDTH
-    order = np.argsort(group.astype(np.uint16), kind="stable")
-    cut = np.searchsorted(group[order], np.arange(groups + 1))
-    for g in range(groups):
-        for a in range(cut[g], cut[g + 1], CHUNK):
-            at = order[a : min(a + CHUNK, cut[g + 1])]
-            h = _hidden(emb, bias, around[:, at])
-            z = h @ top + top_b
-            lp = z[:, g] - _log_total(z)
-            z = h @ low[g] + low_b[g]
-            lp += z[np.arange(len(at)), ids[at] - g * WIDTH] - _log_total(z)
-            out[at] = lp
-    return out
+def _runs(of: np.ndarray) -> list[tuple[int, slice]]:
+    """Each value of a sorted array and where it is."""
+    cut = [0, *(np.flatnonzero(of[1:] != of[:-1]) + 1).tolist(), len(of)]
+    return [(g, slice(i, j)) for g, i, j in zip(of[cut[:-1]].tolist(), cut[:-1], cut[1:], strict=True)]
 
 
-def _softmax(z: np.ndarray) -> np.ndarray:
-    """Of each row, in place."""
-    z -= z.max(1, keepdims=True)
-    np.exp(z, out=z)
-    z /= (z @ np.ones(z.shape[1], z.dtype))[:, None]
-    return z
+def _by_group(ids: np.ndarray) -> np.ndarray:
+    return np.argsort((ids // WIDTH).astype(np.uint16), kind="stable")
 
 
-def _added(values: np.ndarray, keys: np.ndarray, n: int) -> np.ndarray:
-    """Sums of the rows of ``values`` by key, for keys below n."""
-    wide = values.shape[1]
-    at = (keys * wide)[:, None] + np.arange(wide)
-    return np.bincount(at.ravel(), values.ravel(), n * wide).reshape(n, wide).astype(np.float32)
+def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) -> np.ndarray:
+    """log p(word | both sides): its group, then the word within the group."""
+    emb, bias, top, low = _views(flat)
+    out = np.empty(len(ids), np.float32)
+    order = _by_group(ids)
+    room = _Room(min(CHUNK, len(ids)), len(low))
+    for start in range(0, len(ids), CHUNK):
+        at = order[start : start + CHUNK]
+        n, own = len(at), ids.take(at)
+        group, here = own // WIDTH, room.here[: len(at)]
+        h = _hidden(emb, bias, around.take(at, 1), room)
+        z = np.matmul(h, top, out=room.top[:n])
+        lp = z[here, group]
+        lp -= _exp(z)
+        total = z @ _ones(len(low))
+        z = room.low[:n]
+        for g, part in _runs(group):
+            np.dot(h[part], low[g], out=z[part])
+        lp += z[here, own - group * WIDTH]
+        lp -= _exp(z)
+        lp -= np.log(total)
+        lp -= np.log(z @ _ones(WIDTH))
+        out[at] = lp
+    return out
 
 
 class _Descent:
@@ -215,53 +291,83 @@ class _Descent:
     def __init__(self, flat: np.ndarray):
         self.flat = flat.copy()
         self.sums = np.full(len(flat), 1e-2, np.float32)
+        groups = _groups(flat)
+        self.room = _Room(CHUNK, groups)
+        self.grad = np.zeros(len(flat), np.float32)
+        self.views = [_views(x) for x in (self.flat, self.sums, self.grad)]
+        self.work = np.empty(len(flat), np.float32)
+        # Pairs of numbers are added at a time, as complex ones: where those of each word's row are.
+        self.pairs = np.arange((groups * WIDTH + 1) * (DIM // 2)).reshape(-1, DIM // 2)
 
     def step(self, ids: np.ndarray, around: np.ndarray) -> None:
-        emb, bias, top, top_b, low, low_b = weights = _views(self.flat)
-        sums = _views(self.sums)
-        n, groups = len(ids), len(top_b)
-        root = np.float32(np.sqrt(n))
+        (emb, bias, top, low), (sums, *_), (g_emb, g_bias, g_top, g_low) = self.views
+        n, groups, room = len(ids), len(low), self.room
         # In the order of groups, so that each one's rows are a slice; in chunks that stay in the cache.
-        order = np.argsort((ids // WIDTH).astype(np.uint16), kind="stable")
-        ids, around = ids[order], around[:, order]
-        group, place = ids // WIDTH, ids % WIDTH
-        back = np.empty((n, DIM), np.float32)
-        g_top, g_top_b, g_low, g_low_b = (np.zeros_like(w) for w in (top, top_b, low, low_b))
+        order = _by_group(ids)
+        ids, around = ids.take(order), around.take(order, 1)
+        group = ids // WIDTH
+        place = ids - group * WIDTH
+        rest = slice(g_emb.size, None)
+        self.grad[rest] = 0
+        back_low, last = low[:, :DIM].swapaxes(1, 2), -1
+        met = np.zeros((len(SIDES), emb.shape[1]), bool)
         for start in range(0, n, CHUNK):
             part = slice(start, min(start + CHUNK, n))
-            of, here = group[part], np.arange(part.stop - start)
-            h = _hidden(emb, bias, around[:, part])
-            p = _softmax(h @ top + top_b)
-            p[here, of] -= 1
-            g_top += h.T @ p
-            g_top_b += p.sum(0)
-            b = p @ top.T
-            first = np.flatnonzero(np.r_[True, of[1:] != of[:-1]])
-            there = [(g, slice(i, j)) for g, i, j in zip(of[first].tolist(), first.tolist(), [*first[1:].tolist(), len(of)], strict=True)]
-            z = low_b[of]
-            for g, at in there:
-                z[at] += h[at] @ low[g]
-            q = _softmax(z)
-            q[here, place[part]] -= 1
-            for g, at in there:
-                g_low[g] += h[at].T @ q[at]
-                b[at] += q[at] @ low[g].T
-            g_low_b[of[first]] += np.add.reduceat(q, first, axis=0)
-            h *= h
-            np.subtract(1, h, out=h)
-            np.multiply(b, h, out=back[part])
-        for i, grad in enumerate((back.sum(0), g_top, g_top_b, g_low, g_low_b), 1):
-            grad /= root
-            sums[i] += grad * grad
-            weights[i] -= RATE * grad / np.sqrt(sums[i])
+            size, of = part.stop - start, group[part]
+            here, runs = room.here[:size], _runs(of)
+            h = _hidden(emb, bias, around[:, part], room)
+            # The groups: e / total - (1 at the own one) stays in two factors.
+            e = np.matmul(h, top, out=room.top[:size])
+            _exp(e)
+            total = e @ _ones(groups)
+            e[here, of] -= total
+            by = np.reciprocal(total)[:, None]
+            back = np.matmul(e, top[:DIM].T, out=room.rows[:size])
+            back *= by
+            g_top += np.multiply(h, by, out=room.scaled[:size]).T @ e
+            # The words of each group.
+            q = room.low[:size]
+            for g, at in runs:
+                np.dot(h[at], low[g], out=q[at])
+            _exp(q)
+            total = q @ _ones(WIDTH)
+            q[here, place[part]] -= total
+            q *= np.reciprocal(total)[:, None]
+            more = room.sum[:size]
+            for g, at in runs:
+                own, d = q[at], h[at]
+                if g == last:  # begun in the chunk before
+                    g_low[g] += d.T @ own
+                else:
+                    np.dot(d.T, own, out=g_low[g])
+                np.dot(own, back_low[g], out=more[at])
+            last = of[-1]
+            back += more
+            slope = np.multiply(h[:, :DIM], h[:, :DIM], out=more)
+            np.subtract(1, slope, out=slope)
+            back *= slope
+            g_bias += _ones(size) @ back
+            for s in range(len(SIDES)):
+                words_here = around[s, part]
+                met[s, words_here] = True
+                np.add.at(g_emb[s].reshape(-1).view(np.complex64), self.pairs.take(words_here, 0).reshape(-1), back.reshape(-1).view(np.complex64))
+        root = np.float32(1 / np.sqrt(n))
+        self._moved(self.flat[rest], self.sums[rest], self.grad[rest], root)
         # Rows of words that don't occur get no gradient and stay.
         for s in range(len(SIDES)):
-            grad = _added(back, around[s], emb.shape[1])
-            grad /= root
-            sums[0][s] += grad * grad
-            grad *= RATE
-            grad /= np.sqrt(sums[0][s])
-            emb[s] -= grad
+            at = np.flatnonzero(met[s])
+            w, total, grad = emb[s].take(at, 0), sums[s].take(at, 0), g_emb[s].take(at, 0)
+            self._moved(w, total, grad, root)
+            emb[s, at], sums[s, at], g_emb[s, at] = w, total, 0
+
+    def _moved(self, w: np.ndarray, sums: np.ndarray, grad: np.ndarray, root: np.float32) -> None:
+        """One step of weights and their sums of squares, both in place; ``grad`` is used up."""
+        work = self.work[: w.size].reshape(w.shape)
+        grad *= root
+        sums += np.multiply(grad, grad, out=work)
+        grad *= np.float32(RATE)
+        grad /= np.sqrt(sums, out=work)
+        w -= grad
 
 
 _FIXED = float(1 << 24)
@@ -292,12 +398,12 @@ def _targets(rows: np.ndarray, turn: int) -> np.ndarray:
 def train(docs: DataFrame) -> Params:
     """Word counts, vocabulary and weights from all texts; the counts never move to the driver, the weights grow by the fourth root."""
     counts = word_counts(docs)
-    hashes, ids, groups, spread = vocabulary(counts)
+    hashes, ids, groups, spread, near, logs = vocabulary(counts)
     flat = _start(groups)
     n_weights, edge = len(flat), groups * WIDTH
     spark = docs.sparkSession
     for turn in range(ROUNDS):
-        sent = spark.sparkContext.broadcast(Params(hashes, ids, flat, spread, None))
+        sent = spark.sparkContext.broadcast(Params(hashes, ids, flat, spread, near[:0], logs[:0], None))
 
         def descended(batches, sent=sent, turn=turn):
             params = sent.value
@@ -310,10 +416,10 @@ def train(docs: DataFrame) -> Params:
                     if not len(at):
                         continue
                     around = _contexts(own, rows, edge)
-                    at = at[np.argsort(mix(at.astype(np.uint64)), kind="stable")]
+                    at = at[np.argsort(mix(at.astype(np.uint64)))]  # no two are equal
                     for a in range(0, len(at), BATCH):
                         b = at[a : a + BATCH]
-                        run.step(own[b].astype(np.int64), around[:, b].astype(np.int64))
+                        run.step(own.take(b).astype(np.int64), around.take(b, 1).astype(np.int64))
                     n += len(at)
             if n:
                 moved = np.round((run.flat - params.flat).astype(np.float64) * _FIXED).astype(np.int64) * n
@@ -327,7 +433,7 @@ def train(docs: DataFrame) -> Params:
         for r in parts.collect():
             total = np.array(r.high, np.float64) * (1 << _LOW) + np.array(r.low, np.float64)
             flat[first[r.block] : first[r.block + 1]] += (total / r.n / _FIXED).astype(np.float32)
-    return Params(hashes, ids, flat, spread, counts)
+    return Params(hashes, ids, flat, spread, near, logs, counts)
 
 
 def score_documents(docs: DataFrame, params: Params | None = None) -> DataFrame:
@@ -344,6 +450,7 @@ def score_documents(docs: DataFrame, params: Params | None = None) -> DataFrame:
     def scored(batches):
         p = sent.value
         edge = _groups(p.flat) * WIDTH
+        find = _Finder(p.near)
         for batch in batches:
             for row, end, hashes, ids, rows in _hashed(batch.column(2), p):
                 n = end - row
@@ -354,6 +461,9 @@ def score_documents(docs: DataFrame, params: Params | None = None) -> DataFrame:
                     lp = log_probabilities(p.flat, ids.astype(np.int64), _contexts(ids, rows, edge)).astype(np.float64)
                     rare = np.flatnonzero(ids >= edge - OTHERS)
                     lp[rare] -= p.spread[ids[rare] - (edge - OTHERS)]
+                    at, found = find(hashes[rare])
+                    lp[rare[found]] += p.logs[at[found]]
+                    rare = rare[~found]
                     total[has] = np.add.reduceat(lp, rows[:-1][has])
                     ptr = np.searchsorted(rare, rows)
                     others = pa.LargeListArray.from_arrays(pa.array(ptr), pa.array(hashes[rare].view(np.int64)))
@@ -363,7 +473,7 @@ def score_documents(docs: DataFrame, params: Params | None = None) -> DataFrame:
 
     rows = docs.select(F.monotonically_increasing_id().alias("at"), F.col("doc_id").cast("long").alias("doc_id"), "text")
     rows = written(rows.mapInArrow(scored, "at long, doc_id long, n_words long, pll double, others array<long>"), "lm-scores")
-    # A word outside the vocabulary brings the log of its count, an unseen one that of UNSEEN.
+    # A word outside the vocabulary brings the log of its count, an unseen one that of UNSEEN; those of frequent words are in already.
     each = rows.select("at", F.explode("others").alias("word")).join(params.counts.hint("shuffle_hash"), "word", "left")
     own = each.groupBy("at").agg(F.sum(F.log(F.coalesce(F.col("n").cast("double"), F.lit(UNSEEN)))).alias("own"))
     out = rows.select("at", "doc_id", "n_words", "pll").join(own, "at", "left").select("doc_id", "n_words", F.round(F.col("pll") + F.coalesce("own", F.lit(0.0)), 3).alias("pll"))
