@@ -235,10 +235,15 @@ def _hidden(emb: np.ndarray, bias: np.ndarray, around: np.ndarray, room: _Room)
     return room.h[:n]
 
 
-def _exp(z: np.ndarray) -> np.ndarray:
-    """In place; what is taken off first where numbers are large, for each row (0 where none are)."""
+def _small(w: np.ndarray) -> bool:
+    """Whether no product with these columns can be large: no number of a hidden row is beyond 1."""
+    return bool(np.abs(w).sum(-2).max() < _WIDE)
+
+
+def _exp(z: np.ndarray, small: bool = False) -> np.ndarray:
+    """In place; what is taken off first where numbers are large, for each row (0 where none are, as when they're known to be small)."""
     off = np.zeros((1, 1), z.dtype)
-    if z.size and not (z.max() < _WIDE and z.min() > -_WIDE):
+    if z.size and not small and not (z.max() < _WIDE and z.min() > -_WIDE):
         off = z.max(1, keepdims=True)
         z -= off
     np.exp(z, out=z)
@@ -265,6 +270,7 @@ def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) ->
     out = np.empty(len(ids), np.float32)
     order = _by_group(ids)
     room = _Room(min(CHUNK, len(ids)), len(low))
+    small_top, small_low = _small(top), _small(low)
     for start in range(0, len(ids), CHUNK):
         at = order[start : start + CHUNK]
         n, own = len(at), ids.take(at)
@@ -272,13 +278,13 @@ def log_probabilities(flat: np.ndarray, ids: np.ndarray, around: np.ndarray) ->
         h = _hidden(emb, bias, around.take(at, 1), room)
         z = np.matmul(h, top, out=room.top[:n])
         lp = z[here, group]
-        lp -= _exp(z)
+        lp -= _exp(z, small_top)
         total = z @ _ones(len(low))
         z = room.low[:n]
         for g, part in _runs(group):
             np.dot(h[part], low[g], out=z[part])
         lp += z[here, own - group * WIDTH]
-        lp -= _exp(z)
+        lp -= _exp(z, small_low)
         lp -= np.log(total)
         lp -= np.log(z @ _ones(WIDTH))
         out[at] = lp
@@ -310,6 +316,7 @@ class _Descent:
         rest = slice(g_emb.size, None)
         self.grad[rest] = 0
         back_low, last = low[:, :DIM].swapaxes(1, 2), -1
+        small = _small(top)
         met = np.zeros((len(SIDES), emb.shape[1]), bool)
         for start in range(0, n, CHUNK):
             part = slice(start, min(start + CHUNK, n))
@@ -318,7 +325,7 @@ class _Descent:
             h = _hidden(emb, bias, around[:, part], room)
             # The groups: e / total - (1 at the own one) stays in two factors.
             e = np.matmul(h, top, out=room.top[:size])
-            _exp(e)
+            _exp(e, small)
             total = e @ _ones(groups)
             e[here, of] -= total
             by = np.reciprocal(total)[:, None]

@@ -8,7 +8,7 @@ from locveil.llm import lm_scoring as lm
 from locveil.llm._tokens import hashed_words, words
 
 
-@pytest.mark.parametrize("near", [0, 3000, 1 << 16])
+@pytest.mark.parametrize("near", [0, 3000, lm.NEAR])
 def test_frequent_words_are_not_joined(spark, monkeypatch, near):
     # 3,000 words thrice, of which the vocabulary takes some, and 2,000 once.
     text = " ".join(f"a{i}" for i in range(3000))
@@ -21,7 +21,7 @@ def test_frequent_words_are_not_joined(spark, monkeypatch, near):
     got = {r.doc_id: r.pll for r in lm.score_documents(docs, params).collect()}
     joined = held["lm-scores"].agg(F.sum(F.size("others"))).first()[0]
     # With 3,000 the words of three and more occurrences are sent; b1 and b1999 occur twice, the rest of the b and "new" once.
-    assert {0: joined > 5000, 3000: joined == 2003, 1 << 16: joined == 0}[near]
+    assert {0: joined > 5000, 3000: joined == 2003}.get(near, joined == 0)
     plain = params._replace(near=params.near[:0], logs=params.logs[:0])
     held.clear()
     for r in lm.score_documents(docs, plain).collect():
